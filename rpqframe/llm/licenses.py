@@ -11,6 +11,7 @@ the input are repeated in the result; an empty table gives an empty result; extr
 from __future__ import annotations
 
 import json
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -93,30 +94,46 @@ FORMS = [
 ]
 
 
+#: Families whose names can be stated without the word licence; all other names need it.
+FREE = set(
+    "gpl-3.0 gpl-2.0 lgpl-3.0 lgpl-2.1 agpl-3.0 mit-text bsd-4-clause bsd-3-clause 0bsd cc-by-nc-sa cc-by-nc-nd cc-by-nc cc-by-sa cc-by-nd cc-by-4.0 cc-by-3.0 cc-by-any cc0 unlicense public-domain wtfpl proprietary copyright".split()
+)
+
+
 def rules() -> list[dict]:
-    """All signature rules in their order: keyword, pattern, label, order, confidence."""
+    """All signature rules in their order: keywords (both must stand in the text), pattern, label, order, confidence."""
     out = []
     for label, keywords, name, spdx, url in FAMILIES:
         for order, conf, part, form in FORMS:
             value = {"N": name, "S": spdx, "U": url}[part]
             if value:
                 for k in keywords.split("|") if part == "N" else [{"S": "licen", "U": "http"}[part]]:
-                    out.append({"k": k, "r": form.replace(part, value, 1) if part != "N" else form.removesuffix("N") + value, "l": label, "o": order, "c": conf})
+                    need = "licen" if part == "N" and label not in FREE else k
+                    out.append({"k": k, "k2": need, "r": form.replace(part, value, 1) if part != "N" else form.removesuffix("N") + value, "l": label, "o": order, "c": conf})
     return sorted(out, key=lambda r: r["o"])
 
 
-_RULE = "array<struct<k:string,r:string,l:string,o:int,c:double>>"
-_GATE = sorted({"licen", "http", *[k for _, ks, *_ in FAMILIES for k in ks.split("|")]})
+_RULE = "array<struct<k:string,k2:string,r:string,l:string,o:int,c:double>>"
+#: No rule can match a text without one of these.
+_GATE = ["licen", "http", "gpl", "affero", "bsd", "cc by", "cc-by", "cc0", "creative commons", "public domain", "wtfpl", "permission is hereby granted", "all rights reserved", "proprietary", "copyright", "©", "publicdomain"]
+
 
+def detections(low: str) -> Column:
+    """array<struct<s,e,l,o,c>>: all detections in a column of lower-cased text, by place.
 
-def detections(low: Column) -> Column:
-    """array<struct<s,e,l,o,c>>: unsuppressed detections in lower-cased text, by place."""
+    The text must be a column of its own: an expression would be evaluated again for every rule.
+    """
+    text = F.col(low)
     table = F.from_json(F.lit(json.dumps(rules())), _RULE)
-    live = F.filter(table, lambda r: F.contains(low, r["k"]))
+    live = F.filter(table, lambda r: F.contains(text, r["k2"]) & F.contains(text, r["k"]))
     found = F.flatten(
-        F.transform(live, lambda r: F.transform(matches(low, r["r"]), lambda m: F.struct(m["s"].alias("s"), m["e"].alias("e"), r["l"].alias("l"), r["o"].alias("o"), r["c"].alias("c"))))
+        F.transform(live, lambda r: F.transform(matches(text, r["r"]), lambda m: F.struct(m["s"].alias("s"), m["e"].alias("e"), r["l"].alias("l"), r["o"].alias("o"), r["c"].alias("c"))))
     )
-    found = F.array_sort(F.array_distinct(found))
+    return F.sort_array(F.array_distinct(found))
+
+
+def unsuppressed(found: str) -> Column:
+    """The detections in a column that lie in no longer one of their order or a higher one."""
     inside = lambda d, x: (x["s"] <= d["s"]) & (x["e"] >= d["e"]) & (x["o"] <= d["o"]) & ((x["e"] - x["s"] > d["e"] - d["s"]) | (x["o"] < d["o"]))
     return F.filter(found, lambda d: ~F.exists(found, lambda x: inside(d, x)))
 
@@ -135,6 +152,9 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
     any_base = has[0] | has[1] | has[2] | has[3]
     # each word between two blanks of its own, so that neighbouring places share none
     words = words.withColumn("wide", F.when(any_base, F.replace(padded, F.lit(" "), F.lit("  "))))
+    words = words.withColumn("ascii", F.when(reduce(Column.__or__, [F.contains(F.col("low"), F.lit(g)) for g in _GATE]), lower_ascii(F.col("text"))))
+    none = F.array().cast("array<struct<s:int,e:int,l:string,o:int,c:double>>")
+    words = words.withColumn("found", F.when(F.col("ascii").isNotNull(), detections("ascii")))
     wide, per = F.col("wide"), {}
     for p in BASE:
         key = " " + p.replace(" ", "  ") + " "
@@ -147,10 +167,9 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
     first = F.array_min(F.array(*[F.when(c > 0, f - F.when(wide.startswith("  "), 0).otherwise(0)) for c, f, _ in per.values()]))
     last = F.array_max(F.array(*[F.when(c > 0, e) for c, _, e in per.values()]))
     base = F.array_sort(F.array_compact(F.array(*[F.when(per[p][0] > 0, F.lit(v)) for p, v in BASE.items()])))
-    gate = F.exists(F.array(*[F.lit(g) for g in _GATE]), lambda g: F.contains(F.col("low"), g))
     out = words.select(
         F.col("id").alias(id_col), "n_words", n_base.alias("n_base"), first.alias("first_word"), last.alias("last_word"), base.alias("b"),
-        F.when(gate, detections(lower_ascii(F.col("text")))).otherwise(F.array().cast("array<struct<s:int,e:int,l:string,o:int,c:double>>")).alias("detections"),
+        F.when(F.size("found") > 0, unsuppressed("found")).otherwise(none).alias("detections"),
     )
     labels = F.array_sort(F.array_distinct(F.concat("b", F.transform("detections", lambda d: d["l"]))))
     best = F.aggregate("detections", F.lit(0.0), lambda a, d: F.greatest(a, d["c"]))
