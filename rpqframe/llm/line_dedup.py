@@ -4,31 +4,34 @@ Lines are compared without outer blanks. A line is dropped if the same line, or
 within one edit (a character inserted, deleted or replaced), stands earlier: in a document of smaller id, or
 further up in the same one. Lines under ``min_chars`` characters are kept: too little to judge.
 
-Exact repeats go by hash. For one-edit neighbours every first occurrence emits its deletion
-neighbourhood at block grain: the line is cut into four blocks, and each variant lacks one block
-(and, in the role of a line that is one character longer, one block and one character). An edit
-touches one block, so neighbours share the hashed variant that lacks it. Only lines
-that share a variant with another line go on. Groups of up to ``small`` lines are verified directly
-by edit distance; larger groups, such as lines made from a template, emit the neighbourhood of the
-missing block character by character, which again needs rows in proportion to the group only.
-So no pairs are ever emitted, and a line repeated in a third of all documents is one row after
-map-side aggregation.
+Exact repeats go by hash, pre-aggregated before the shuffle. For one-edit neighbours every first
+occurrence emits its deletion neighbourhood at block grain: hashed variants that lack the front
+or the back half. An edit touches one half only, so neighbours share the variant that lacks
+it; half lengths are taken such that this also holds for lengths that differ by one. Only lines
+whose variant is shared with another line go on. Groups of up to ``small`` lines are verified directly by
+edit distance. Larger groups, such as lines made from a template, emit the neighbourhood of
+the lacking half character by character and link each line to the earliest one of each
+variant, which again needs rows in proportion to the group only. So no pairs are emitted,
+and a line that a third of all documents repeat is one row after map-side aggregation.
 
 Defined results: null and empty texts have no lines and stay; documents with a null id stay as they
 are and make no others go; rows repeated in the input lose the same lines; a document of which
-only blank text remains after a drop has ``text`` empty; an empty table gives an empty result;
+only blank text remains after a drop has ``text`` blank; an empty table gives an empty result;
 extra columns are carried along.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from collections.abc import Iterator
+
+import pyarrow as pa
+import xxhash
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rpqframe.llm.common import pick
+from rpqframe.llm.common import checkpoint, pick, text_slices
 
 MIN_CHARS = 16
-BLOCKS = 4
 SMALL = 32
 
 
@@ -36,63 +39,72 @@ def _split(text: Column) -> Column:
     return F.split(text, "\n", -1)
 
 
-def _lines(docs: DataFrame, min_chars: int) -> DataFrame:
-    """id, at, line of each line that is long enough."""
-    return (
-        docs.where("id is not null and text is not null")
-        .select("id", F.posexplode(_split(F.col("text"))).alias("at", "line"))
-        .select("id", "at", F.trim("line").alias("line"))
-        .where(F.length("line") >= min_chars)
-    )
+def _eligible(text: Column, min_chars: int) -> Column:
+    """array<struct<at,line>>: the lines that are long enough, with their places."""
+    lines = F.transform(_split(text), lambda x, i: F.struct(i.alias("at"), F.trim(x).alias("line")))
+    return F.filter(lines, lambda x: F.length(x["line"]) >= min_chars)
 
 
 def _exact_drops(docs: DataFrame, min_chars: int) -> DataFrame:
-    """id, exact: the sorted places of lines that stand earlier elsewhere."""
-    hashed = _lines(docs, min_chars).select(F.xxhash64("line").alias("h"), F.xxhash64(F.lit("second"), "line").alias("h2"), "id", "at")
-    firsts = hashed.groupBy("h", "h2").agg(F.min(F.struct("id", "at")).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
-    late = hashed.join(firsts, ["h", "h2"]).where(F.struct("id", "at") > F.col("first"))
-    return late.groupBy("id").agg(F.collect_set("at").alias("exact"))
-
-
-def variant_keys(line: Column) -> Column:
-    """array<struct<key,from,len>>: hashed variants with the place of what they lack."""
-
-    def role(width: Column, lack: Column, length: Column) -> Column:
-        last = F.ceil(length / width).cast("int") - 1
-        return F.transform(
-            F.sequence(F.lit(0), last),
-            lambda j: F.struct(
-                F.xxhash64(width, j, F.substring(line, F.lit(1), j * width), F.substring(line, j * width + lack + 1, F.length(line))).alias("key"),
-                (j * width).cast("int").alias("from"), lack.cast("int").alias("len"),
-            ),
-        )
-
-    n = F.length(line)
-    w = F.floor(n / BLOCKS).cast("int")
-    w1 = F.floor((n - 1) / BLOCKS).cast("int")
-    return F.concat(role(w, w, n), role(w1, w1 + 1, n - 1))
-
-
-def _near_drops(firsts: DataFrame, small: int) -> DataFrame:
+    """id, exact: the places of lines that stand earlier elsewhere."""
+    lines = docs.where("text is not null").select("id", F.explode(_eligible(F.col("text"), min_chars)).alias("x"))
+    hashed = lines.select("id", "x.at", F.xxhash64("x.line").alias("h"), F.xxhash64(F.lit("second"), "x.line").alias("h2"))
+    firsts = hashed.groupBy("h", "h2").agg(F.min("id").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
+    own = hashed.join(firsts, ["h", "h2"]).groupBy("id", "h", "h2", "first").agg(F.collect_set("at").alias("ats"))
+    late = F.when(F.col("id") > F.col("first"), F.col("ats")).otherwise(F.array_except("ats", F.array(F.array_min("ats"))))
+    return own.select("id", late.alias("ats")).where(F.size("ats") > 0).groupBy("id").agg(F.flatten(F.collect_list("ats")).alias("exact"))
+
+
+def variant_keys(line: str) -> list[tuple[int, int]]:
+    """(key, kept) of the variants: a signed hash, and the characters kept, negative at the line's end."""
+    n, half = len(line), len(line) // 2
+    kept = (half, half - 1, -half) if n % 2 == 0 else (half, -half - 1, -half)
+    return [(_signed(line[:k].encode(), 1) if k >= 0 else _signed(line[k:].encode(), 2), k) for k in kept]
+
+
+def _signed(raw: bytes, seed: int) -> int:
+    h = xxhash.xxh64_intdigest(raw, seed)
+    return h - (1 << 64) if h >> 63 else h
+
+
+def _variants(marked: DataFrame, min_chars: int) -> DataFrame:
+    """id, at, key, kept: the variants of all first occurrences."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for rows, texts in text_slices(batch):
+                places, numbers, keys, sizes = [], [], [], []
+                for i, (raw, exact) in enumerate(zip(texts, rows.column(2).to_pylist())):
+                    gone = set(exact)
+                    for at, line in enumerate(raw.decode("utf-8", "replace").split("\n")):
+                        line = line.strip(" ")
+                        if len(line) >= min_chars and at not in gone:
+                            for key, kept in variant_keys(line):
+                                places.append(i)
+                                numbers.append(at)
+                                keys.append(key)
+                                sizes.append(kept)
+                ids = rows.column(0).take(pa.array(places, pa.int64()))
+                yield pa.RecordBatch.from_arrays([ids, pa.array(numbers, pa.int32()), pa.array(keys, pa.int64()), pa.array(sizes, pa.int32())], names=["id", "at", "key", "kept"])
+
+    src = marked.where("text is not null").select("id", "text", "exact")
+    return src.mapInArrow(run, f"id {src.schema['id'].dataType.simpleString()}, at int, key bigint, kept int")
+
+
+def _near_drops(marked: DataFrame, min_chars: int, small: int) -> DataFrame:
     """id, near: places of first occurrences that have an earlier neighbour within one edit.
 
-    ``firsts`` has doc rows: id, kept (array<struct<at,line>>).
+    ``marked`` has doc rows: id, text, exact (the places of lines that are gone).
     """
-    lines = firsts.select("id", F.explode("kept").alias("k")).select("id", "k.at", "k.line")
-    keys = lines.select("id", "at", F.explode(variant_keys(F.col("line"))).alias("v")).select(
-        "id", "at", F.col("v.key").alias("key"), F.col("v.from").alias("from"), F.col("v.len").alias("len")
-    )
-    shared = keys.withColumn("n", F.count("*").over(Window.partitionBy("key"))).where("n > 1")
-    by_doc = shared.groupBy("id").agg(F.collect_list(F.struct("at", "key", "from", "len", "n")).alias("found"))
-    texts = (
-        firsts.hint("shuffle_hash")
-        .join(by_doc.hint("shuffle_hash"), "id")
-        .select("id", "found", F.map_from_entries("kept").alias("kept"))
-        .select("id", F.explode("found").alias("f"), "kept")
-        .select("id", "f.*", F.element_at("kept", F.col("f.at")).alias("line"))
-        .where("line is not null")
-    )
-    pairs = texts.where(F.col("n") <= small).groupBy("key").agg(F.collect_list(F.struct("id", "at", "line")).alias("g"))
+    keyed = _variants(marked, min_chars)
+    shared = keyed.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
+    places = keyed.join(shared, "key").groupBy("id").agg(F.collect_list(F.struct("at", "key", "kept", "n")).alias("found"))
+    joined = marked.join(places.hint("shuffle_hash"), "id").select("id", _split(F.col("text")).alias("lines"), F.explode("found").alias("f"))
+    texts = joined.select("id", "f.at", "f.key", "f.kept", "f.n", F.trim(F.get("lines", F.col("f.at"))).alias("line"))
+    # a large group is dealt out by line too: only its own variants, below, need to meet
+    salt = F.when(F.col("n") > small, F.pmod(F.xxhash64("line"), F.lit(1024))).otherwise(0)
+    texts = texts.withColumn("salt", salt).repartition("key", "salt")
+    pairs = texts.where(F.col("n") <= small).groupBy("key", "salt").agg(F.collect_list(F.struct("id", "at", "line")).alias("g"))
     earlier = lambda x, y: (F.struct(y["id"], y["at"]) < F.struct(x["id"], x["at"])) & (F.levenshtein(x["line"], y["line"], 1) >= 0)
     direct = pairs.select(F.explode(F.filter("g", lambda x: F.exists("g", lambda y: earlier(x, y)))).alias("x")).select("x.id", "x.at")
     late = direct.union(_template_drops(texts.where(F.col("n") > small)))
@@ -100,41 +112,38 @@ def _near_drops(firsts: DataFrame, small: int) -> DataFrame:
 
 
 def _template_drops(rows: DataFrame) -> DataFrame:
-    """id, at of lines with an earlier neighbour, from groups that share all but one block.
+    """id, at of lines with an earlier neighbour, from groups that share one half.
 
-    Within a group only the lacking block differs. Equal blocks after one character is masked are
-    one replacement apart, all of them from each other; a block equal to another less one
+    Within a group only the lacking half differs. Halves that are equal once one character is masked are
+    one replacement apart, all of them from each other; a half equal to another less one
     character is one deletion apart. Both need only the earliest line of each variant.
     """
-    block = F.substring("line", F.col("from") + 1, F.col("len"))
-    b = rows.select("key", "id", "at", "line", block.alias("b"))
-    pos = F.struct("id", "at")
+    front = F.expr("substring(line, kept + 1, length(line))")
+    b = rows.select("key", "id", "at", "line", F.when(F.col("kept") >= 0, front).otherwise(F.expr("left(line, length(line) + kept)")).alias("b"))
     each = F.sequence(F.lit(1), F.greatest(F.length("b"), F.lit(1)))
     less = lambda i: F.concat(F.substring("b", F.lit(1), i - 1), F.substring("b", i + 1, F.length("b")))
-    masked = b.select("key", "id", "at", "line", F.explode(F.transform(each, lambda i: F.xxhash64(i, less(i)))).alias("v"))
-    first = masked.groupBy("key", "v").agg(F.min(F.struct("id", "at", "line")).alias("m"), F.count("*").alias("c")).where("c > 1")
-    replaced = masked.join(first, ["key", "v"]).where((pos > F.struct("m.id", "m.at")) & (F.levenshtein("line", F.col("m.line"), 1) >= 0)).select("id", "at")
-    own = b.select("key", "id", "at", "line", F.xxhash64("b").alias("v"))
-    shorter = b.select("key", "id", "at", "line", F.explode(F.array_distinct(F.transform(each, lambda i: F.xxhash64(less(i))))).alias("v"))
-    own_min = own.groupBy("key", "v").agg(F.min(F.struct("id", "at", "line")).alias("m"))
-    shorter_min = shorter.groupBy("key", "v").agg(F.min(F.struct("id", "at", "line")).alias("m"))
-    near = (pos > F.struct("m.id", "m.at")) & (F.levenshtein("line", F.col("m.line"), 1) >= 0)
-    deleted = shorter.join(own_min, ["key", "v"]).where(near).select("id", "at")
-    inserted = own.join(shorter_min, ["key", "v"]).where(near).select("id", "at")
-    return replaced.union(deleted).union(inserted)
+    entry = lambda kind, v: F.struct(F.lit(kind).alias("kind"), v.alias("v"))
+    masked = F.transform(each, lambda i: entry("masked", F.xxhash64(F.lit("masked"), i, less(i))))
+    shorter = F.array_distinct(F.transform(each, lambda i: entry("shorter", F.xxhash64(F.lit("whole"), less(i)))))
+    variants = F.concat(masked, shorter, F.array(entry("own", F.xxhash64(F.lit("whole"), "b"))))
+    out = b.select("key", "id", "at", "line", F.explode(variants).alias("x")).select("key", "id", "at", "line", "x.*")
+    pos = F.struct("id", "at", "line")
+    least = lambda kind: F.min(F.when(F.col("kind") == kind, pos)).alias(kind)
+    firsts = out.groupBy("key", "v").agg(least("masked"), least("shorter"), least("own"), F.count("*").alias("n")).where("n > 1").drop("n")
+    other = F.when(F.col("kind") == "masked", F.col("masked")).when(F.col("kind") == "shorter", F.col("own")).otherwise(F.col("shorter"))
+    joined = out.join(firsts, ["key", "v"]).withColumn("o", other)
+    return joined.where((F.struct("id", "at") > F.struct("o.id", "o.at")) & (F.levenshtein("line", F.col("o.line"), 1) >= 0)).select("id", "at")
 
 
 def line_decisions(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, small: int = SMALL) -> DataFrame:
     """id, text, exact, near: one row per input row with an id, with the places of dropped lines."""
     src = pick(docs, id_col, text_col).toDF("id", "text").where("id is not null")
-    spread = src.repartition("id")
-    exact = _exact_drops(src, min_chars)
-    marked = spread.join(exact.hint("shuffle_hash"), "id", "left")
-    places = F.filter(F.transform(_split(F.col("text")), lambda x, i: F.struct(i.alias("at"), F.trim(x).alias("line"))), lambda x: F.length(x["line"]) >= min_chars)
-    gone = F.coalesce("exact", F.array().cast("array<int>"))
-    firsts = marked.where("text is not null").dropDuplicates(["id"]).select("id", F.filter(places, lambda x: ~F.array_contains(gone, x["at"])).alias("kept"))
-    near = _near_drops(firsts, small)
-    return marked.join(near.hint("shuffle_hash"), "id", "left").select("id", "text", gone.alias("exact"), F.coalesce("near", F.array().cast("array<int>")).alias("near"))
+    none = F.array().cast("array<int>")
+    exact = checkpoint(_exact_drops(src, min_chars))
+    # the one shuffle of the texts; all joins by id below use it
+    marked = src.repartition("id").join(exact.hint("shuffle_hash"), "id", "left").withColumn("exact", F.coalesce("exact", none))
+    near = _near_drops(marked, min_chars, small)
+    return marked.join(near.hint("shuffle_hash"), "id", "left").select("id", "text", "exact", F.coalesce("near", none).alias("near"))
 
 
 def kept_text(text: Column, exact: Column, near: Column) -> Column:
