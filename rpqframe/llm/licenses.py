@@ -105,7 +105,7 @@ def rules() -> list[dict]:
     out = []
     for label, keywords, name, spdx, url in FAMILIES:
         for order, conf, part, form in FORMS:
-            value = {"N": name, "S": spdx, "U": url}[part]
+            value = {"N": rf"(?<![a-z0-9])(?:{name})(?:s\b|(?![a-z0-9]))", "S": spdx, "U": url}[part]
             if value:
                 for k in keywords.split("|") if part == "N" else [{"S": "licen", "U": "http"}[part]]:
                     need = "licen" if part == "N" and label not in FREE else k
