@@ -19,7 +19,6 @@ from rpqframe.sources.graph import PropertyGraph
 
 #: A block's children go on the stack as at most this many blocks.
 MAX_BLOCKS = 8
-NOT_CLOSED = (F.col("len") == 0) | (F.col("src") != F.col("dst"))
 
 
 def _may_add(tau: str):
@@ -32,7 +31,8 @@ def _may_add(tau: str):
         return ~F.array_contains("nodes", F.col("to"))
     assert tau == SIMPLE
     inner = F.slice("nodes", F.lit(2), F.col("len"))
-    return NOT_CLOSED & ~F.array_contains(inner, F.col("to"))
+    not_closed = (F.col("len") == 0) | (F.col("src") != F.col("dst"))
+    return not_closed & ~F.array_contains(inner, F.col("to"))
 
 
 class _Product:

@@ -8,7 +8,8 @@ from pyspark.sql import functions as F
 
 def edge_stream(events: DataFrame, late: str = "1 hour") -> DataFrame:
     """Event rows as edges from users to event types, with a watermark."""
-    return events.withWatermark("ts", late).select("ts", F.col("event_id").alias("eid"), F.col("event_type").alias("label"), F.col("user_id").alias("src"))
+    timed = events.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks take no other type
+    return timed.withWatermark("ts", late).select("ts", F.col("event_id").alias("eid"), F.col("event_type").alias("label"), F.col("user_id").alias("src"))
 
 
 def windowed_counts(events: DataFrame, width: str = "1 hour", slide: str | None = None, late: str = "1 hour") -> DataFrame:
@@ -26,6 +27,7 @@ def session_counts(events: DataFrame, gap: str = "30 minutes", late: str = "1 ho
 
 def two_step_paths(first: DataFrame, second: DataFrame, within: str = "1 hour", late: str = "1 hour") -> DataFrame:
     """Stream-stream join: an edge of the first stream followed by one of the second from the same source within a time."""
+    first, second = (d.withColumn("ts", F.col("ts").cast("timestamp")) for d in (first, second))
     a = first.withWatermark("ts", late).select(F.col("event_id").alias("e1"), F.col("user_id").alias("u1"), F.col("ts").alias("t1"))
     b = second.withWatermark("ts", late).select(F.col("event_id").alias("e2"), F.col("user_id").alias("u2"), F.col("ts").alias("t2"))
     near = (F.col("u1") == F.col("u2")) & (F.col("t2") > F.col("t1")) & (F.col("t2") <= F.col("t1") + F.expr(f"interval {within}"))
