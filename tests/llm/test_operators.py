@@ -279,7 +279,7 @@ def test_secrets(spark, forest, odd):
 
 
 def test_round_trip_and_distinct(spark, odd, docs, none):
-    df = docs.select("doc_id", "text").limit(60).union(odd.select("doc_id", "text"))
+    df = docs.select(F.col("doc_id") + 1000, "text").limit(60).toDF("doc_id", "text").union(odd.select("doc_id", "text"))
     got = sp_sampling.sample_report(df, k=3).collect()
     assert all(x.decodes and len(set(x.ids_hash)) == x.n_samples for x in got) and len(got) == df.count()
     same = [x.ids_hash for x in got if x.doc_id == 5]
