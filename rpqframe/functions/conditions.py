@@ -13,7 +13,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rpqframe.functions.paths import LAST, edge_at, node_at, seq_text
+from rpqframe.functions.paths import LAST, edge_at, node_at, path_order, seq_text
 from rpqframe.functions.restrictors import restrict
 
 
@@ -213,10 +213,11 @@ def select(df: DataFrame, c, nodes: Callable[[], DataFrame], edges: Callable[[],
     return df
 
 
-def project(df: DataFrame, terms: list, nodes: Callable[[], DataFrame], edges: Callable[[], DataFrame]) -> DataFrame:
-    """One row per path; a term is (alias, Term or condition)."""
+def project(df: DataFrame, terms: list, nodes: Callable[[], DataFrame], edges: Callable[[], DataFrame], ordered: bool = False) -> DataFrame:
+    """One row per path; a term is (alias, Term or condition). ``ordered``: rows in path order, after all look-ups."""
     need: set[Term] = set()
     for _, t in terms:
         need |= {t} if isinstance(t, Term) else terms_of(t)
     df = lookup(df, need, nodes, edges)
+    df = df.orderBy(*path_order()) if ordered else df
     return df.select(*[(term_column(t) if isinstance(t, Term) else condition_column(t)).alias(a) for a, t in terms])

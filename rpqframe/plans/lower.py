@@ -126,7 +126,7 @@ def _project(e: Project, g: PropertyGraph, cfg: Config) -> DataFrame:
         df = distinct_paths(df)
     if limit is not None:
         df = df.orderBy(*path_order()).limit(limit) if cfg.order == "total" else df.limit(limit)
-    return C.project(df, list(e.terms), g.nodes_of, g.edges_of)
+    return C.project(df, list(e.terms), g.nodes_of, g.edges_of, ordered=limit is not None and cfg.order == "total")
 
 
 def plan(g: PropertyGraph, q: Query, cfg: Config) -> Project:
