@@ -35,7 +35,7 @@ REPORTING = frozenset("called quote quoted quotes reads said saying says term wo
 OPEN, CLOSE = "“«", "”»"
 STEM_LENGTHS = range(4, 9)
 THRESHOLD = 0.3
-CLEAN_WORDS = 300_000
+CLEAN_WORDS = 600_000
 FLUSH_TERMS = 300_000
 
 
@@ -67,7 +67,7 @@ class FuzzyTrie:
         self.states: dict[frozenset, int] = {}
         self.members: list[frozenset] = []
         self.accepts: list[tuple[tuple[int, int] | None, tuple[int, int] | None]] = []
-        self.moves: dict[tuple[int, str], int] = {}
+        self.moves: list[dict[str, int]] = []
         self.dead = self._state(frozenset())
         self.start = self._state(self._closed({(0, 0)}))
 
@@ -94,26 +94,32 @@ class FuzzyTrie:
             self.members.append(pairs)
             found = [(e, k) for node, e in pairs for k in self.ends[node] if e <= self.edits(*self.entries[k])]
             self.accepts.append((min((x for x in found if self.entries[x[1]][1]), default=None), min(found, default=None)))
+            self.moves.append({})
         return self.states[pairs]
 
     def _move(self, state: int, ch: str) -> int:
+        if ch and ch not in self.alphabet:
+            got = self.moves[state].get("")
+            got = self._move(state, "") if got is None else got
+            self.moves[state][ch] = got
+            return got
         to: set[tuple[int, int]] = set()
         for node, e in self.members[state]:
             to.add((node, e + 1))
             for label, kid in self.kids[node].items():
                 to.add((kid, e if label == ch else e + 1))
-        self.moves[state, ch] = got = self._state(self._closed(to))
+        self.moves[state][ch] = got = self._state(self._closed(to))
         return got
 
     def look(self, word: str) -> tuple[int, int] | None:
         """(edits, entry) of the nearest entry, or None."""
-        state, best, moves = self.start, None, self.moves
+        state, best, moves, accepts = self.start, None, self.moves, self.accepts
         for ch in word:
-            ch = ch if ch in self.alphabet else ""
-            state = moves[state, ch] if (state, ch) in moves else self._move(state, ch)
-            if state == self.dead:
+            nxt = moves[state].get(ch)
+            state = self._move(state, ch) if nxt is None else nxt
+            if not state:  # the dead state is the first
                 return best
-            stem = self.accepts[state][0]
+            stem = accepts[state][0]
             if stem is not None and (best is None or stem < best):
                 best = stem
         whole = self.accepts[state][1]
