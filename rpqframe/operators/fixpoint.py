@@ -24,6 +24,8 @@ BROADCAST_ROWS = 200_000
 #: Rows of one level; beyond it the recursion raises, it never truncates.
 MAX_LEVEL_ROWS = 2_000_000_000
 MAX_LEVELS = 10_000
+#: A frontier of at most so many paths that does not grow goes several levels ahead in one job.
+AHEAD_ROWS, AHEAD_LEVELS = 5_000, 8
 
 
 class RecursionExplosion(RuntimeError):
@@ -91,6 +93,7 @@ def recursive_join(
     tau: str,
     *,
     start: DataFrame | None = None,
+    seed: Callable[[DataFrame], DataFrame] | None = None,
     dedupe: bool = True,
     strategy: str = "linear",
     max_len: int | None = None,
@@ -102,6 +105,7 @@ def recursive_join(
 ) -> DataFrame:
     """All paths of one or more base paths, or of a start path and any number of base paths.
 
+    ``seed`` filters the first level; it reads the materialised base, so nothing is made twice.
     ``dedupe``: drop paths found before (a set); without it one row for each derivation, which is the
     same when every path has one derivation. ``post`` is applied to every level (selections and joins
     that stand above); with ``limit``, levels stop once that many accepted paths are shorter
@@ -126,6 +130,8 @@ def recursive_join(
     small = n_base <= BROADCAST_ROWS
     if start is not None:
         delta, sizes = _measured(unique(bound(start.where(restrict(tau)))))
+    elif seed is not None:
+        delta, sizes = _measured(seed(bound(base)))
     else:
         delta = bound(base)
         sizes = {k: v for k, v in sizes.items() if max_len is None or k <= max_len}
@@ -142,10 +148,13 @@ def recursive_join(
         out.append(part)
 
     if zero is not None and start is None:
+        zero = zero if seed is None else reliable(seed(zero))
         emit(zero, _lengths(zero) if limit is not None else {})
     first_low = min(sizes, default=0)
     seen: list[tuple[DataFrame, int]] = []
     level = 0
+    ahead: list[tuple[DataFrame, dict[int, int]]] = []
+    before = 0
     while sizes:
         trace.check()
         n, low, high = sum(sizes.values()), min(sizes), max(sizes)
@@ -160,6 +169,12 @@ def recursive_join(
             break
         if not n_base or level > MAX_LEVELS or max_len is not None and low + m > max_len:
             break
+        steady, before = before and n <= 1.5 * before, n
+        if not ahead and small and not dedupe and steady and n <= AHEAD_ROWS:
+            ahead = _several(delta, base, tau, max_len)
+        if ahead:
+            delta, sizes = ahead.pop(0)
+            continue
         nxt = unique(bound(join_paths(delta, base, tau, small)))
         if dedupe:
             for old, old_high in seen:  # levels whose lengths can coincide
@@ -175,6 +190,28 @@ def recursive_join(
     return result
 
 
+def _several(delta: DataFrame, base: DataFrame, tau: str, max_len: int | None) -> list[tuple[DataFrame, dict[int, int]]]:
+    """The next levels of a small, steady frontier in one job: a chain of outer joins with the broadcast base.
+
+    Every row keeps its path at each level; levels that rows share are told apart by their edges.
+    """
+    df = delta.select(F.struct("src", "dst", "len", "nodes", "edges").alias("p0"))
+    for i in range(1, AHEAD_LEVELS + 1):
+        a = f"p{i - 1}"
+        on = (F.col(f"{a}.dst") == F.col("b.src")) & extends(tau, a)
+        if max_len is not None:
+            on &= F.col(f"{a}.len") + F.col("b.len") <= max_len
+        grown = F.when(F.col("b.src").isNotNull(), F.struct(*concat_paths(a)))
+        df = df.join(F.broadcast(base).alias("b"), on, "left").select(*[f"p{k}" for k in range(i)], grown.alias(f"p{i}"))
+    levels = F.array(*[F.struct(F.lit(i).alias("level"), F.col(f"p{i}").alias("p")) for i in range(1, AHEAD_LEVELS + 1)])
+    flat = df.select(F.explode(levels).alias("x")).where("x.p is not null").select("x.level", "x.p.*").dropDuplicates(["level", "src", "edges"])
+    block = reliable(flat)
+    sizes: dict[int, dict[int, int]] = {}
+    for r in block.groupBy("level", "len").count().collect():
+        sizes.setdefault(r["level"], {})[r["len"]] = r["count"]
+    return [(block.where(F.col("level") == i).drop("level"), sizes.get(i, {})) for i in range(1, AHEAD_LEVELS + 1)]
+
+
 def _doubling(base: DataFrame, tau: str, dedupe: bool, trace: Trace, max_level_rows: int) -> DataFrame:
     """Rounds that double the number of base steps; logarithmic in the longest path.
 

@@ -7,7 +7,8 @@ applied level by level, so the recursion stops as soon as enough answers are cer
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -78,9 +79,12 @@ def _paths(e: Expr, g: PropertyGraph, cfg: Config, limit: int | None) -> DataFra
     start = None if core.start is None else _paths(core.start, g, cfg, None)
     base = _paths(core.inner, g, cfg, None)
     bounds = [x for x in (core.max_len, cfg.max_len) if x is not None]
-    strategy = cfg.strategy if start is None and limit is None else "linear"
+    strategy = cfg.strategy if start is None and limit is None and not core.seed else "linear"
+    seed = None
+    if core.seed:
+        seed = lambda d: reduce(lambda x, c: _select(x, c, g), core.seed, d)
     return recursive_join(
-        base, core.tau, start=start, dedupe=core.dedupe and cfg.mode != "derivation", strategy=strategy, max_len=min(bounds) if bounds else None, limit=limit, post=post, post_min_len=extra, trace=cfg.trace
+        base, core.tau, start=start, seed=seed, dedupe=core.dedupe and cfg.mode != "derivation", strategy=strategy, max_len=min(bounds) if bounds else None, limit=limit, post=post, post_min_len=extra, trace=cfg.trace
     )
 
 
@@ -132,6 +136,8 @@ def _project(e: Project, g: PropertyGraph, cfg: Config) -> DataFrame:
 def plan(g: PropertyGraph, q: Query, cfg: Config) -> Project:
     regex = normalize(q.regex) if cfg.mode == "set" else q.regex
     e = translate(Query(q.tau, regex, q.where, q.returns, q.limit))
+    if cfg.max_len is not None:  # of the whole path; the optimizer bounds the recursions by it
+        e = replace(e, inner=Select(e.inner, C.Cmp(C.LENGTH, "<=", cfg.max_len)))
     if "all" in cfg.skip:
         return e
     unique = "drop_dedupe" not in cfg.skip and is_unambiguous(regex, g.edge_labels)
