@@ -1,6 +1,7 @@
 """SimHash near-duplicate detection with multi-index hashing.
 
-A 64-bit fingerprint is cut into two 32-bit segments. Two fingerprints within two bits
+Texts are compared with A-Z lower-cased and split at ASCII blanks. A 64-bit fingerprint is
+cut into two 32-bit segments. Two fingerprints within two bits
 differ in at most one bit of some segment while the remaining bit, if any, lies within one
 bit of the other. So every fingerprint enumerates the radius-one Hamming ball of each
 segment, and the probe carries the other segment's value with it: two fingerprints link
@@ -47,7 +48,7 @@ def shingle_hashes(words: list[bytes], size: int, digest=xxhash.xxh64_intdigest)
 
 def fingerprint(raw: bytes | None, size: int = 3) -> int:
     """Unsigned fingerprint: a bit is set if it is set in over half of the shingle hashes."""
-    hashes = shingle_hashes((raw or b"").split(), size)
+    hashes = shingle_hashes((raw or b"").lower().split(), size)
     if not hashes:
         return 0
     counts = np.zeros(BITS, dtype=np.int64)

@@ -333,7 +333,7 @@ def test_distribution_is_that_of_sampling_without_replacement():
 def brute_simhash(rows):
     prints = []
     for i, t in rows:
-        w = re.findall(r"[^\x20\x09-\x0D]+", t or "")
+        w = re.findall(r"[^\x20\x09-\x0D]+", (t or "").translate(ASCII_LOW))
         s = [" ".join(w[k : k + 3]) for k in range(len(w) - 2)] if len(w) >= 3 else [" ".join(w)] if w else []
         h = [xxhash.xxh64_intdigest(x.encode(), 42) for x in s]
         prints.append((i, sum(1 << b for b in range(64) if 2 * sum(x >> b & 1 for x in h) > len(h))))
