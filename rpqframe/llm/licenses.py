@@ -164,7 +164,7 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
             F.col("n_words") - (count(F.substring_index(wide, key, -1), " ") / 2).cast("bigint") - len(p.split()),
         )
     n_base = sum((F.coalesce(c, F.lit(0)) for c, _, _ in per.values()), F.lit(0).cast("bigint"))
-    first = F.array_min(F.array(*[F.when(c > 0, f - F.when(wide.startswith("  "), 0).otherwise(0)) for c, f, _ in per.values()]))
+    first = F.array_min(F.array(*[F.when(c > 0, f) for c, f, _ in per.values()]))
     last = F.array_max(F.array(*[F.when(c > 0, e) for c, _, e in per.values()]))
     base = F.array_sort(F.array_compact(F.array(*[F.when(per[p][0] > 0, F.lit(v)) for p, v in BASE.items()])))
     out = words.select(
