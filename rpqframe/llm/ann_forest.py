@@ -2,8 +2,9 @@
 
 Each tree keeps the rows' long hash strings (64 signs of random projections) as a sorted array. A
 query descends each tree to its longest matching prefix, then all trees ascend together, one
-level at a time, until the rows that share a prefix of that length in some tree, summed over the trees,
-reach ``share`` of the rows; these are its candidates, whose cosines are computed exactly.
+level at a time, until the other rows that share a prefix of that length in some tree, summed over the trees,
+reach ``share`` of the others and at least ``k`` and ``FLOOR`` of them are distinct (all, where there are
+fewer); these are its candidates, whose cosines are computed exactly.
 
 The rows are dealt into blocks by a hash of their id and each block holds its own forest, so no
 block grows with a group of copies; the queries go to the blocks in blocks too. The best of each
@@ -29,6 +30,8 @@ from rpqframe.llm.common import pick
 
 TREES, BITS, SEED = 24, 64, 20240
 BLOCK_ROWS, BLOCK_QUERIES = 8192, 2048
+#: Distinct candidates in each block at least: small blocks and rare lengths are searched whole.
+FLOOR = 256
 
 
 def projections(dim: int, trees: int, seed: int = SEED) -> np.ndarray:
@@ -65,17 +68,30 @@ class Forest:
         near = np.minimum(self.sorted[np.minimum(at, self.rows - 1), tree] ^ q, self.sorted[np.maximum(at - 1, 0), tree] ^ q)
         return BITS - int(near.min()).bit_length()
 
-    def candidates(self, x: np.ndarray, least: int):
-        """For each query the row numbers of its candidates: descend, then ascend synchronously."""
+    def found(self, spans: np.ndarray) -> np.ndarray:
+        """The rows in one query's places of all trees."""
+        mask = np.zeros(self.rows, dtype=bool)
+        for t in range(self.trees):
+            mask[self.order[spans[t, 0] : spans[t, 1], t]] = True
+        return mask
+
+    def candidates(self, x: np.ndarray, least: int, distinct: int = 0, own: np.ndarray | None = None):
+        """For each query the row numbers of its candidates: descend, then ascend synchronously.
+
+        ``least`` bounds the sum over the trees, ``distinct`` the different rows; both without the
+        query's own row, whose number ``own`` gives (-1 if it is not among the rows).
+        """
+        itself = np.zeros(len(x), dtype=np.int64) if own is None else (own >= 0).astype(np.int64)
         q = hash_strings(x, self.planes, self.trees)
         level = np.zeros(len(q), dtype=np.int64)
         open_ = np.arange(len(q))
         for depth in range(max(self.longest(q[:, t], t) for t in range(self.trees)), -1, -1):
-            counts = np.zeros(len(open_), dtype=np.int64)
-            for t in range(self.trees):
-                low, high = self.ranges(q[open_, t], depth, t)
-                counts += high - low
-            done = counts >= least
+            at = np.stack([np.stack(self.ranges(q[open_, t], depth, t), axis=1) for t in range(self.trees)], axis=1)
+            counts = at[:, :, 1] - at[:, :, 0] - itself[open_, None]
+            done = counts.sum(axis=1) >= least
+            for k in np.flatnonzero(done & (counts.max(axis=1) < distinct)):
+                done[k] = self.found(at[k]).sum() - itself[open_[k]] >= distinct
+            done |= depth == 0
             level[open_[done]] = depth
             open_ = open_[~done]
             if not len(open_):
@@ -86,10 +102,7 @@ class Forest:
             for t in range(self.trees):
                 spans[own, t, 0], spans[own, t, 1] = self.ranges(q[own, t], int(depth), t)
         for k in range(len(q)):
-            mask = np.zeros(self.rows, dtype=bool)
-            for t in range(self.trees):
-                mask[self.order[spans[k, t, 0] : spans[k, t, 1], t]] = True
-            yield np.flatnonzero(mask)
+            yield np.flatnonzero(self.found(spans[k]))
 
 
 def _matrix(table: pa.Table, name: str) -> np.ndarray:
@@ -118,8 +131,10 @@ def search(vectors: DataFrame, query_filter, id_col: str = "vec_id", vec_col: st
             ids, qids = base.column("id").to_numpy(), asked.column("id").to_numpy()
             norms = np.sqrt((x * x).sum(axis=1))
             forest = Forest(x, trees)
-            least = min(candidates or int(np.ceil(share * len(x))), trees * len(x))
-            for qid, q, found in zip(qids, y, forest.candidates(y, least)):
+            row_of = {i: n for n, i in enumerate(ids.tolist())}
+            own = np.array([row_of.get(i, -1) for i in qids.tolist()])
+            least = candidates or int(np.ceil(share * len(x)))
+            for qid, q, found in zip(qids, y, forest.candidates(y, least, max(k, FLOOR) if candidates is None else k, own)):
                 found = found[ids[found] != qid]
                 s = (x[found] * q).sum(axis=1) / (norms[found] * np.sqrt((q * q).sum()))
                 top = np.lexsort((ids[found], -s))[:k] if len(s) <= 4 * k else _top(s, ids[found], k)
