@@ -1,7 +1,8 @@
 """License scans: ordered signature rules, keyword prefilter, interval-containment suppression.
 
 DataFrame functions only, and no shuffle: each document is scanned where it is read. A few
-keywords gate everything; a rule runs only on texts that hold its keyword. Detections of rules
+words gate everything; a rule runs only on texts that hold its keyword once their blanks are collapsed,
+as its pattern takes any blanks between words. Detections of rules
 of lower order that lie inside a detection of the same or a higher order are suppressed.
 
 Defined results: null and empty texts have no words, places or labels (score 0); rows repeated in
@@ -115,17 +116,17 @@ def rules() -> list[dict]:
 
 _RULE = "array<struct<k:string,k2:string,r:string,l:string,o:int,c:double>>"
 #: No rule can match a text without one of these.
-_GATE = ["licen", "http", "gpl", "affero", "bsd", "cc by", "cc-by", "cc0", "creative commons", "public domain", "wtfpl", "permission is hereby granted", "all rights reserved", "proprietary", "copyright", "©", "publicdomain"]
+_GATE = ["licen", "http", "gpl", "affero", "bsd", "cc by", "cc-by", "cc0", "commons", "domain", "wtfpl", "hereby", "reserved", "proprietary", "copyright", "©", "publicdomain"]
 
 
-def detections(low: str) -> Column:
+def detections(low: str, flat: str) -> Column:
     """array<struct<s,e,l,o,c>>: all detections in a column of lower-cased text, by place.
 
-    The text must be a column of its own: an expression would be evaluated again for every rule.
+    ``flat`` is the text with each run of blanks as one. Both must be columns of their own: an expression would be evaluated again for every rule.
     """
     text = F.col(low)
     table = F.from_json(F.lit(json.dumps(rules())), _RULE)
-    live = F.filter(table, lambda r: F.contains(text, r["k2"]) & F.contains(text, r["k"]))
+    live = F.filter(table, lambda r: F.contains(F.col(flat), r["k2"]) & F.contains(F.col(flat), r["k"]))
     found = F.flatten(
         F.transform(live, lambda r: F.transform(matches(text, r["r"]), lambda m: F.struct(m["s"].alias("s"), m["e"].alias("e"), r["l"].alias("l"), r["o"].alias("o"), r["c"].alias("c"))))
     )
@@ -153,8 +154,9 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
     # each word between two blanks of its own, so that neighbouring places share none
     words = words.withColumn("wide", F.when(any_base, F.replace(padded, F.lit(" "), F.lit("  "))))
     words = words.withColumn("ascii", F.when(reduce(Column.__or__, [F.contains(F.col("low"), F.lit(g)) for g in _GATE]), lower_ascii(F.col("text"))))
+    words = words.withColumn("flat", F.regexp_replace("ascii", r"\s+", " "))
     none = F.array().cast("array<struct<s:int,e:int,l:string,o:int,c:double>>")
-    words = words.withColumn("found", F.when(F.col("ascii").isNotNull(), detections("ascii")))
+    words = words.withColumn("found", F.when(F.col("ascii").isNotNull(), detections("ascii", "flat")))
     wide, per = F.col("wide"), {}
     for p in BASE:
         key = " " + p.replace(" ", "  ") + " "
