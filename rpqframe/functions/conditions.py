@@ -7,7 +7,7 @@ true. Labels and properties are looked up late, by joins on ids; path rows never
 from __future__ import annotations
 
 from collections.abc import Callable
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
@@ -177,6 +177,13 @@ def condition_column(c) -> Column:
     return F.coalesce(test, F.lit(False))
 
 
+def at_first(c):
+    """A condition on the last node as one on the first, for reversed paths."""
+    if isinstance(c, (And, Or)):
+        return type(c)(at_first(c.left), at_first(c.right))
+    return Not(at_first(c.inner)) if isinstance(c, Not) else replace(c, term=replace(c.term, i=1))
+
+
 def pins(c) -> bool:
     """Whether the condition pins one node or edge to few: an equality on its id, label or property."""
     return isinstance(c, Cmp) and c.op == "=" and c.term.kind in ("id", "label", "prop")

@@ -35,6 +35,11 @@ def concat_paths(a: str = "a", b: str = "b") -> list[Column]:
     ]
 
 
+def reversed_paths(df: DataFrame) -> DataFrame:
+    """Each path from its last node to its first."""
+    return df.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "len", F.reverse("nodes").alias("nodes"), F.reverse("edges").alias("edges"))
+
+
 def node_at(i: int | str) -> Column:
     return F.col("dst") if i == LAST else F.col("src") if i == 1 else F.get("nodes", F.lit(i - 1))
 

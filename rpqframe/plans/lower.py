@@ -11,12 +11,11 @@ from dataclasses import dataclass, field, replace
 from functools import reduce
 
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 from rpqframe.functions import conditions as C
-from rpqframe.functions.paths import distinct_paths, path_order, paths0, paths1
-from rpqframe.functions.restrictors import WALK
-from rpqframe.operators.algebra import Expr, Join, Paths0, Paths1, Project, Recur, Select, Union, has_recursion, min_len
+from rpqframe.functions.paths import distinct_paths, path_order, paths0, paths1, reversed_paths
+from rpqframe.functions.restrictors import STRENGTH, restrict
+from rpqframe.operators.algebra import Expr, Join, Paths0, Paths1, Project, Recur, Select, Union, has_recursion, lengths, min_len, satisfied
 from rpqframe.operators.automata import is_unambiguous
 from rpqframe.operators.fixpoint import BROADCAST_ROWS, Trace, join_paths, recursive_join, reliable
 from rpqframe.plans.lang import Query, parse
@@ -28,7 +27,10 @@ from rpqframe.sources.graph import PropertyGraph
 
 @dataclass
 class Config:
-    """mode: paper (recursion gives sets, the rest bags), set (distinct paths), derivation (a row per derivation)."""
+    """mode: paper (recursion gives sets, the rest bags), set (distinct paths), derivation (a row per derivation).
+
+    strategy: linear, doubling (rounds, where nothing seeds or stops it), left (towards the first node), sql (one recursive query).
+    """
 
     mode: str = "paper"
     order: str = "total"
@@ -78,20 +80,30 @@ def _paths(e: Expr, g: PropertyGraph, cfg: Config, limit: int | None) -> DataFra
         return both if post is None else post(both)
     start = None if core.start is None else _paths(core.start, g, cfg, None)
     base = _paths(core.inner, g, cfg, None)
-    bounds = [x for x in (core.max_len, cfg.max_len) if x is not None]
-    strategy = cfg.strategy if start is None and limit is None and not core.seed else "linear"
-    seed = None
-    if core.seed:
-        seed = lambda d: reduce(lambda x, c: _select(x, c, g), core.seed, d)
+    bounds = [x for x in (core.max_len, core.whole_len, cfg.max_len) if x is not None]
+    strategy = cfg.strategy if start is None and limit is None and not core.seed and not core.target else "linear"
+    conds, seed, turn = core.seed, None, cfg.strategy == "left" and start is None and not core.seed
+    if core.target or turn:  # to the left: the recursion over reversed paths, turned around again
+        conds, base = tuple(C.at_first(c) for c in core.target), reversed_paths(base)
+        above = post
+        post = reversed_paths if above is None else lambda d: above(reversed_paths(d))
+    if conds:
+        seed = lambda d: reduce(lambda x, c: _select(x, c, g), conds, d)
     return recursive_join(
-        base, core.tau, start=start, seed=seed, dedupe=core.dedupe and cfg.mode != "derivation", strategy=strategy, max_len=min(bounds) if bounds else None, limit=limit, post=post, post_min_len=extra, trace=cfg.trace
+        base, core.tau, start=start, seed=seed, dedupe=core.dedupe and cfg.mode != "derivation", strategy=strategy, max_len=min(bounds) if bounds else None, limit=limit, post=post, post_min_len=extra, trace=cfg.trace,
+        base_lengths=lengths(core.inner),
     )
 
 
+def _valid(df: DataFrame, e: Expr, tau: str) -> DataFrame:
+    """The paths of an expression that a join under a restrictor may use: its test assumes valid parts."""
+    return df if STRENGTH[satisfied(e)] >= STRENGTH[tau] else df.where(restrict(tau))
+
+
 def _join(e: Join, g: PropertyGraph, cfg: Config) -> DataFrame:
     right = e.right
     small = isinstance(right, Paths1) and right.labels is not None and sum(g.counts.get(x, BROADCAST_ROWS + 1) for x in right.labels) <= BROADCAST_ROWS
-    return join_paths(_paths(e.left, g, cfg, None), _paths(right, g, cfg, None), e.tau, small)
+    return join_paths(_valid(_paths(e.left, g, cfg, None), e.left, e.tau), _valid(_paths(right, g, cfg, None), right, e.tau), e.tau, small)
 
 
 def _above_recursion(e: Expr, g: PropertyGraph, cfg: Config):
@@ -107,8 +119,8 @@ def _above_recursion(e: Expr, g: PropertyGraph, cfg: Config):
         return (keep if post is None else lambda d: keep(post(d))), core, extra
     if isinstance(e, Join) and has_recursion(e.left) and not has_recursion(e.right):
         post, core, extra = _above_recursion(e.left, g, cfg)
-        right = _paths(e.right, g, cfg, None)
-        return (lambda d: join_paths(d if post is None else post(d), right, e.tau)), core, extra + min_len(e.right)
+        right = _valid(_paths(e.right, g, cfg, None), e.right, e.tau)
+        return (lambda d: join_paths(_valid(d if post is None else post(d), e.left, e.tau), right, e.tau)), core, extra + min_len(e.right)
     return None, None, 0
 
 
@@ -162,11 +174,13 @@ def rpq_paths(g: PropertyGraph, text: str, **options) -> DataFrame:
     return df.orderBy(*path_order()).limit(e.limit) if e.limit else df
 
 
-def explain_rpq(g: PropertyGraph, text: str) -> str:
-    """The query, its algebra tree and the rewritten tree."""
+def explain_rpq(g: PropertyGraph, text: str, spark_plan: bool = False) -> str:
+    """The query, its algebra tree and the rewritten tree; with ``spark_plan`` it is run as far as its recursions go and Spark's plan of the rest follows."""
     q = parse(text)
     cfg = Config()
-    return "\n".join([f"query: {q.tau} {q.regex}", "algebra:", translate(q).tree(1), "rewritten:", plan(g, q, cfg).tree(1)])
-
-
-__all__ = ["Config", "WALK", "evaluate", "explain_rpq", "plan", "rpq", "rpq_paths", "F"]
+    made = plan(g, q, cfg)
+    parts = [f"query: {q.tau} {q.regex}", "algebra:", translate(q).tree(1), "rewritten:", made.tree(1)]
+    if spark_plan:
+        df = evaluate(made, g, cfg)
+        parts += ["levels:", *[f"  {x['op']} {x['level']}: {x['rows']} rows, {x['bytes']} bytes" for x in cfg.trace.levels], "spark:", df._jdf.queryExecution().toString()]
+    return "\n".join(parts)

@@ -3,24 +3,16 @@
 from __future__ import annotations
 
 from rpqframe.functions.conditions import Cmp, Is, Not, label
-from rpqframe.functions.restrictors import WALK
-from rpqframe.operators.algebra import Expr, Join, Paths0, Paths1, Project, Recur, Select, Union
+from rpqframe.functions.restrictors import STRENGTH
+from rpqframe.operators.algebra import Expr, Join, Paths0, Paths1, Project, Recur, Select, Union, satisfied
 from rpqframe.plans.lang import Query
 from rpqframe.plans.regex import Alt, Cat, Lab, Neg, Opt, Plus, Regex
 
 
 def match_expr(r: Regex, tau: str) -> Expr:
     out = _match(r, tau)
-    # only joins test the restrictor, so an edge alone (a self-loop) is tested here
-    return out if tau == WALK or not _has_bare_edge(r) else Select(out, Is(tau))
-
-
-def _has_bare_edge(r: Regex) -> bool:
-    if isinstance(r, (Lab, Neg)):
-        return True
-    if isinstance(r, Alt):
-        return _has_bare_edge(r.left) or _has_bare_edge(r.right)
-    return isinstance(r, Opt) and _has_bare_edge(r.inner)
+    # joins test what they make and what they are given; what no join makes (an edge alone) is tested here
+    return out if STRENGTH[satisfied(out)] >= STRENGTH[tau] else Select(out, Is(tau))
 
 
 def _match(r: Regex, tau: str) -> Expr:
