@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+import atexit
+import re
 import tempfile
+import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -44,17 +47,46 @@ def pick(df: DataFrame, *names: str) -> DataFrame:
     return df.select(*[F.col(f"`{n}`") for n in names])
 
 
+def fresh(name: str, *frames: DataFrame) -> str:
+    """A column name that none of the frames has, whatever its case."""
+    taken = {c.lower() for df in frames for c in df.columns}
+    while f"_{name}".lower() in taken:
+        name += "_"
+    return f"_{name}"
+
+
+_MADE: dict[str, SparkSession] = {}
+
+
 def checkpoint(df: DataFrame) -> DataFrame:
-    """Cut lineage in the cluster's shared checkpoint folder (own folder only where it is unset)."""
+    """Cut lineage: the rows as a table in the shared folder, whose size decides later joins."""
     spark = df.sparkSession
     ensure_checkpoint_dir(spark)
-    return df.checkpoint()
+    path = f"{spark.sparkContext.getCheckpointDir()}/table-{uuid.uuid4().hex}"
+    _MADE[path] = spark
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
+@atexit.register
+def release() -> None:
+    """Delete all tables that this process cut lineage with; frames that read them are invalid afterwards."""
+    for path, spark in list(_MADE.items()):
+        try:
+            where = spark._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+            del _MADE[path]
+        except Exception:  # the session may have ended before
+            return
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
+    """The folder that the session names; only local mode takes one of its own, as executors elsewhere could not read it."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
         named = spark.conf.get("spark.checkpoint.dir", "") or sc.getConf().get("spark.checkpoint.dir", "")
+        if not named and not re.match(r"local(\[|$)", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="rpqframe-checkpoint-"))
 
 

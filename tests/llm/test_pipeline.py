@@ -2,7 +2,8 @@
 
 import corpus_pipeline
 from rpqframe.llm import sp_sampling, toxicity
-from tests.llm.test_operators import brute_contamination, brute_lines, brute_simhash
+from tests.llm.test_operators import brute_contamination, brute_lines
+from tests.llm.test_shingle_dedup import brute_similar
 
 SF = "/root/testdata/sf0.001"
 
@@ -21,8 +22,8 @@ def test_stages(spark):
         left = "\n".join(x for k, x in enumerate(t.split("\n")) if k not in gone)
         if not gone or left.strip():
             cut.append((i, left))
-    keep = {i for i, _, c in brute_simhash(cut) if i == c}
-    cut = [x for x in cut if x[0] in keep]
+    least = brute_similar(cut)
+    cut = [x for x in cut if least[x[0]] == x[0]]
     dirty = {x[0] for x in brute_contamination(cut, items) if x[-1]}
     final = {i: t for i, t in cut if i not in dirty}
     at = docs
