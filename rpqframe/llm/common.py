@@ -55,6 +55,21 @@ def fresh(name: str, *frames: DataFrame) -> str:
     return f"_{name}"
 
 
+def join_dealt(rows: DataFrame, keys: DataFrame, on: list[str], count: str, total: int) -> DataFrame:
+    """Inner join of many rows with a table of one row per key, whose column ``count`` says how many rows the key has.
+
+    A key with more than a share of the ``total`` rows is dealt out over several tasks. There are at most
+    four such keys a partition, whatever the size, so these few are broadcast.
+    """
+    share = max(1, total // (4 * int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    salt, parts = fresh("salt", rows, keys), fresh("parts", rows, keys)
+    dealt = keys.withColumn(parts, F.ceil(F.col(count) / share).cast("int"))
+    hot = dealt.where(F.col(parts) > 1).select(*on, parts)
+    own = rows.join(F.broadcast(hot), on, "left").withColumn(salt, F.coalesce(F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in rows.columns]), F.col(parts)), F.lit(0)).cast("int")).drop(parts)
+    every = dealt.withColumn(salt, F.explode(F.sequence(F.lit(0), F.greatest(F.col(parts), F.lit(1)) - 1))).drop(parts)
+    return own.join(every, [*on, salt]).drop(salt)
+
+
 _MADE: dict[str, SparkSession] = {}
 
 

@@ -1,21 +1,22 @@
 """Line dedup with a deletion-neighbourhood join.
 
-Lines are compared without outer blanks. A line is dropped if the same line, or one
-within one edit (a character inserted, deleted or replaced), stands earlier: in a document of smaller id, or
-further up in the same one. Lines under ``min_chars`` characters are kept: too little to judge.
-
-Exact repeats go by hash, pre-aggregated before the shuffle. For one-edit neighbours every first
-occurrence emits its deletion neighbourhood at block grain: hashed variants that lack the front
-or the back half. An edit touches one half only, so neighbours share the variant that lacks
-it; half lengths are taken such that this also holds for lengths that differ by one. Only lines
-whose variant is shared with another line go on. Groups of up to ``small`` lines are verified directly by
-edit distance. Larger groups, such as lines made from a template, emit the neighbourhood of
-the lacking half character by character and link each line to the earliest one of each
-variant, which again needs rows in proportion to the group only. So no pairs are emitted,
-and a line that a third of all documents repeat is one row after map-side aggregation.
+Lines are compared without outer blanks. A line is dropped if the same line stands earlier: in a
+document of smaller id, or further up in the same one. So is a line of at least ``min_chars`` characters
+if such a line within one edit (a character inserted, deleted or replaced) stands earlier; shorter ones
+are too little to judge by edits.
+
+Exact repeats go by hash, pre-aggregated before the shuffle. Every first occurrence then emits its deletion
+neighbourhood, hashed, from coarse to fine, and only lines that share a variant with another go on:
+variants that lack the front or the back half; of the lacking half, variants that lack one block of
+``BLOCK`` characters; of the lacking block, variants that lack one character. An edit touches
+one half, one block and one character only, and lengths of the kept parts are taken such that lines whose
+lengths differ by one share a variant too. At the finest grain each line is linked to the earliest
+one of each variant, and the edit distance of the lines themselves is verified. So no pairs are
+emitted, a line that a third of all documents repeat is one row after map-side aggregation, and a
+variant that many lines share is dealt out over several tasks.
 
 Defined results: null and empty texts have no lines and stay; documents with a null id stay as they
-are and make no others go; rows repeated in the input lose the same lines; a document of which
+are and make no others go; rows repeated in the input lose the same lines; blank lines stay; a document of which
 only blank text remains after a drop has ``text`` blank; an empty table gives an empty result;
 extra columns are carried along.
 """
@@ -29,30 +30,25 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rpqframe.llm.common import checkpoint, pick, text_slices
+from rpqframe.llm.common import checkpoint, fresh, join_dealt, pick, text_slices
 
 MIN_CHARS = 16
-SMALL = 32
+BLOCK = 16
 
 
 def _split(text: Column) -> Column:
     return F.split(text, "\n", -1)
 
 
-def _eligible(text: Column, min_chars: int) -> Column:
-    """array<struct<at,line>>: the lines that are long enough, with their places."""
-    lines = F.transform(_split(text), lambda x, i: F.struct(i.alias("at"), F.trim(x).alias("line")))
-    return F.filter(lines, lambda x: F.length(x["line"]) >= min_chars)
-
-
-def _exact_drops(docs: DataFrame, min_chars: int) -> DataFrame:
+def _exact_drops(docs: DataFrame) -> DataFrame:
     """id, exact: the places of lines that stand earlier elsewhere."""
-    lines = docs.where("text is not null").select("id", F.explode(_eligible(F.col("text"), min_chars)).alias("x"))
+    lines = F.transform(_split(F.col("text")), lambda x, i: F.struct(i.alias("at"), F.trim(x).alias("line")))
+    lines = docs.where("text is not null").select("id", F.explode(F.filter(lines, lambda x: x["line"] != "")).alias("x"))
     hashed = lines.select("id", "x.at", F.xxhash64("x.line").alias("h"), F.xxhash64(F.lit("second"), "x.line").alias("h2"))
-    firsts = hashed.groupBy("h", "h2").agg(F.min("id").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
-    own = hashed.join(firsts, ["h", "h2"]).groupBy("id", "h", "h2", "first").agg(F.collect_set("at").alias("ats"))
-    late = F.when(F.col("id") > F.col("first"), F.col("ats")).otherwise(F.array_except("ats", F.array(F.array_min("ats"))))
-    return own.select("id", late.alias("ats")).where(F.size("ats") > 0).groupBy("id").agg(F.flatten(F.collect_list("ats")).alias("exact"))
+    firsts = checkpoint(hashed.groupBy("h", "h2").agg(F.min(F.struct("id", "at")).alias("first"), F.count("*").alias("n")).where("n > 1"))
+    total = firsts.agg(F.sum("n")).first()[0] or 0
+    late = join_dealt(hashed, firsts, ["h", "h2"], "n", total).where(F.struct("id", "at") > F.col("first"))
+    return late.groupBy("id").agg(F.collect_set("at").alias("exact"))
 
 
 def variant_keys(line: str) -> list[tuple[int, int]]:
@@ -91,58 +87,99 @@ def _variants(marked: DataFrame, min_chars: int) -> DataFrame:
     return src.mapInArrow(run, f"id {src.schema['id'].dataType.simpleString()}, at int, key bigint, kept int")
 
 
-def _near_drops(marked: DataFrame, min_chars: int, small: int) -> DataFrame:
+def _shared(keyed: DataFrame, key: str) -> DataFrame:
+    """The materialised rows whose key another row has too."""
+    counts = checkpoint(keyed.groupBy(key).agg(F.count("*").alias("n")).where("n > 1"))
+    total = counts.agg(F.sum("n")).first()[0] or 0
+    return join_dealt(keyed, counts, [key], "n", total).drop("n")
+
+
+def lacking(line: str, kept: int) -> str:
+    return line[kept:] if kept >= 0 else line[: len(line) + kept]
+
+
+def block_keys(key: int, part: str, block: int = BLOCK) -> list[tuple[int, int, int]]:
+    """(key, p, q) of the variants of a part that lack all but its first p and last q characters."""
+    out = []
+    for p in range(0, len(part) + 1, block):
+        for q in {max(len(part) - p - block, 0), max(len(part) - p - block - 1, 0)}:
+            raw = f"{key} {p} {q} {part[:p]}\0{part[len(part) - q :] if q else ''}"
+            out.append((_signed(raw.encode("utf-8", "replace"), 3), p, q))
+    return out
+
+
+def _blocks(rows: DataFrame) -> DataFrame:
+    """id, at, key, kept, p, q, key2: the block variants of lines that share a half."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part, texts in text_slices(batch, "line"):
+                places, found = [], []
+                for i, (raw, key, kept) in enumerate(zip(texts, part.column(2).to_pylist(), part.column(3).to_pylist())):
+                    own = block_keys(key, lacking(raw.decode("utf-8", "replace"), kept))
+                    places += [i] * len(own)
+                    found += own
+                at = pa.array(places, pa.int64())
+                yield pa.RecordBatch.from_arrays(
+                    [*[part.column(k).take(at) for k in range(4)], pa.array([x[1] for x in found], pa.int32()), pa.array([x[2] for x in found], pa.int32()), pa.array([x[0] for x in found], pa.int64())],
+                    names=["id", "at", "key", "kept", "p", "q", "key2"],
+                )
+
+    src = rows.select("id", "at", "key", "kept", "line")
+    return src.mapInArrow(run, f"id {src.schema['id'].dataType.simpleString()}, at int, key bigint, kept int, p int, q int, key2 bigint")
+
+
+def _near_drops(marked: DataFrame, min_chars: int) -> DataFrame:
     """id, near: places of first occurrences that have an earlier neighbour within one edit.
 
     ``marked`` has doc rows: id, text, exact (the places of lines that are gone).
     """
-    keyed = _variants(marked, min_chars)
-    shared = keyed.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-    places = keyed.join(shared, "key").groupBy("id").agg(F.collect_list(F.struct("at", "key", "kept", "n")).alias("found"))
+    places = _shared(checkpoint(_variants(marked, min_chars)), "key").groupBy("id").agg(F.collect_list(F.struct("at", "key", "kept")).alias("found"))
     joined = marked.join(places.hint("shuffle_hash"), "id").select("id", _split(F.col("text")).alias("lines"), F.explode("found").alias("f"))
-    texts = joined.select("id", "f.at", "f.key", "f.kept", "f.n", F.trim(F.get("lines", F.col("f.at"))).alias("line"))
-    # a large group is dealt out by line too: only its own variants, below, need to meet
-    salt = F.when(F.col("n") > small, F.pmod(F.xxhash64("line"), F.lit(1024))).otherwise(0)
-    texts = texts.withColumn("salt", salt).repartition("key", "salt")
-    pairs = texts.where(F.col("n") <= small).groupBy("key", "salt").agg(F.collect_list(F.struct("id", "at", "line")).alias("g"))
-    earlier = lambda x, y: (F.struct(y["id"], y["at"]) < F.struct(x["id"], x["at"])) & (F.levenshtein(x["line"], y["line"], 1) >= 0)
-    direct = pairs.select(F.explode(F.filter("g", lambda x: F.exists("g", lambda y: earlier(x, y)))).alias("x")).select("x.id", "x.at")
-    late = direct.union(_template_drops(texts.where(F.col("n") > small)))
+    texts = checkpoint(joined.select("id", "f.at", "f.key", "f.kept", F.trim(F.get("lines", F.col("f.at"))).alias("line")).dropDuplicates(["id", "at", "key", "kept", "line"]))
+    finer = _shared(checkpoint(_blocks(texts)), "key2")
+    rows = finer.join(texts, ["id", "at", "key", "kept"])
+    front = F.expr("substring(line, kept + 1, length(line))")
+    part = F.when(F.col("kept") >= 0, front).otherwise(F.expr("left(line, length(line) + kept)"))
+    rows = rows.withColumn("part", part).select("key2", "id", "at", F.expr("substring(part, p + 1, length(part) - p - q)").alias("b"))
+    pairs = checkpoint(_character_links(rows))
+    own = texts.select("id", "at", "line").distinct()
+    both = pairs.join(own, ["id", "at"]).join(own.toDF("o_id", "o_at", "o_line"), ["o_id", "o_at"])
+    late = both.where(F.levenshtein("line", "o_line", 1) >= 0).select("id", "at")
     return late.groupBy("id").agg(F.collect_set("at").alias("near"))
 
 
-def _template_drops(rows: DataFrame) -> DataFrame:
-    """id, at of lines with an earlier neighbour, from groups that share one half.
+def _character_links(rows: DataFrame) -> DataFrame:
+    """id, at, o_id, o_at: places linked to an earlier one whose block equals theirs but for one character.
 
-    Within a group only the lacking half differs. Halves that are equal once one character is masked are
-    one replacement apart, all of them from each other; a half equal to another less one
+    Lines of one key differ in their block ``b`` only. Blocks that are equal once one character is masked are
+    one replacement apart, all of them from each other; a block equal to another less one
     character is one deletion apart. Both need only the earliest line of each variant.
     """
-    front = F.expr("substring(line, kept + 1, length(line))")
-    b = rows.select("key", "id", "at", "line", F.when(F.col("kept") >= 0, front).otherwise(F.expr("left(line, length(line) + kept)")).alias("b"))
     each = F.sequence(F.lit(1), F.greatest(F.length("b"), F.lit(1)))
     less = lambda i: F.concat(F.substring("b", F.lit(1), i - 1), F.substring("b", i + 1, F.length("b")))
     entry = lambda kind, v: F.struct(F.lit(kind).alias("kind"), v.alias("v"))
-    masked = F.transform(each, lambda i: entry("masked", F.xxhash64(F.lit("masked"), i, less(i))))
-    shorter = F.array_distinct(F.transform(each, lambda i: entry("shorter", F.xxhash64(F.lit("whole"), less(i)))))
-    variants = F.concat(masked, shorter, F.array(entry("own", F.xxhash64(F.lit("whole"), "b"))))
-    out = b.select("key", "id", "at", "line", F.explode(variants).alias("x")).select("key", "id", "at", "line", "x.*")
-    pos = F.struct("id", "at", "line")
+    masked = F.transform(each, lambda i: entry("masked", F.xxhash64(F.lit("masked"), "key2", i, less(i))))
+    shorter = F.array_distinct(F.transform(each, lambda i: entry("shorter", F.xxhash64(F.lit("whole"), "key2", less(i)))))
+    variants = F.concat(masked, shorter, F.array(entry("own", F.xxhash64(F.lit("whole"), "key2", "b"))))
+    out = checkpoint(rows.select("id", "at", F.explode(variants).alias("x")).select("id", "at", "x.*"))
+    pos = F.struct("id", "at")
     least = lambda kind: F.min(F.when(F.col("kind") == kind, pos)).alias(kind)
-    firsts = out.groupBy("key", "v").agg(least("masked"), least("shorter"), least("own"), F.count("*").alias("n")).where("n > 1").drop("n")
+    firsts = checkpoint(out.groupBy("v").agg(least("masked"), least("shorter"), least("own"), F.count("*").alias("n")).where("n > 1"))
+    total = firsts.agg(F.sum("n")).first()[0] or 0
     other = F.when(F.col("kind") == "masked", F.col("masked")).when(F.col("kind") == "shorter", F.col("own")).otherwise(F.col("shorter"))
-    joined = out.join(firsts, ["key", "v"]).withColumn("o", other)
-    return joined.where((F.struct("id", "at") > F.struct("o.id", "o.at")) & (F.levenshtein("line", F.col("o.line"), 1) >= 0)).select("id", "at")
+    joined = join_dealt(out, firsts, ["v"], "n", total).withColumn("o", other)
+    return joined.where(pos > F.col("o")).select("id", "at", F.col("o.id").alias("o_id"), F.col("o.at").alias("o_at")).distinct()
 
 
-def line_decisions(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, small: int = SMALL) -> DataFrame:
+def line_decisions(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS) -> DataFrame:
     """id, text, exact, near: one row per input row with an id, with the places of dropped lines."""
     src = pick(docs, id_col, text_col).toDF("id", "text").where("id is not null")
     none = F.array().cast("array<int>")
-    exact = checkpoint(_exact_drops(src, min_chars))
+    exact = checkpoint(_exact_drops(src))
     # the one shuffle of the texts; all joins by id below use it
     marked = src.repartition("id").join(exact.hint("shuffle_hash"), "id", "left").withColumn("exact", F.coalesce("exact", none))
-    near = _near_drops(marked, min_chars, small)
+    near = _near_drops(marked, min_chars)
     return marked.join(near.hint("shuffle_hash"), "id", "left").select("id", "text", "exact", F.coalesce("near", none).alias("near"))
 
 
@@ -152,9 +189,9 @@ def kept_text(text: Column, exact: Column, near: Column) -> Column:
     return F.when(F.size(exact) + F.size(near) == 0, text).otherwise(F.array_join(F.transform(keep, lambda i: F.get(lines, i)), "\n"))
 
 
-def dedup_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, small: int = SMALL) -> DataFrame:
+def dedup_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS) -> DataFrame:
     """id_col, n_lines, n_exact, n_near, n_kept, kept_sha256, for each row with an id."""
-    d = line_decisions(docs, id_col, text_col, min_chars, small)
+    d = line_decisions(docs, id_col, text_col, min_chars)
     n = F.coalesce(F.size(_split(F.col("text"))), F.lit(0))
     return d.select(
         F.col("id").alias(id_col), n.alias("n_lines"), F.size("exact").alias("n_exact"), F.size("near").alias("n_near"),
@@ -162,12 +199,13 @@ def dedup_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     )
 
 
-def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, small: int = SMALL, drop_emptied: bool = True) -> DataFrame:
+def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, drop_emptied: bool = True) -> DataFrame:
     """The documents without the dropped lines; documents that a drop left blank go, unless told otherwise."""
-    drops = line_decisions(docs, id_col, text_col, min_chars, small).where(F.size("exact") + F.size("near") > 0)
-    drops = drops.select(F.col("id").alias("__id"), F.col("exact").alias("__exact"), F.col("near").alias("__near")).dropDuplicates(["__id"])
-    joined = docs.join(drops.hint("shuffle_hash"), docs[f"`{id_col}`"] == drops["__id"], "left")
-    hit = F.col("__id").isNotNull()
-    text = F.when(hit, kept_text(F.col(f"`{text_col}`"), F.col("__exact"), F.col("__near"))).otherwise(F.col(f"`{text_col}`"))
-    out = joined.select(*[(text if c == text_col else F.col(f"`{c}`")).alias(c) for c in docs.columns], hit.alias("__hit"))
-    return (out.where(~F.col("__hit") | (F.trim(F.regexp_replace(F.col(f"`{text_col}`"), r"\s+", " ")) != "")) if drop_emptied else out).drop("__hit")
+    drops = line_decisions(docs, id_col, text_col, min_chars).where(F.size("exact") + F.size("near") > 0)
+    gone, exact, near, hit = (fresh(x, docs) for x in ("id", "exact", "near", "hit"))
+    drops = drops.select(F.col("id").alias(gone), F.col("exact").alias(exact), F.col("near").alias(near)).dropDuplicates([gone])
+    joined = docs.join(drops.hint("shuffle_hash"), docs[f"`{id_col}`"] == drops[gone], "left")
+    found = F.col(gone).isNotNull()
+    text = F.when(found, kept_text(F.col(f"`{text_col}`"), F.col(exact), F.col(near))).otherwise(F.col(f"`{text_col}`"))
+    out = joined.select(*[(text if c == text_col else F.col(f"`{c}`")).alias(c) for c in docs.columns], found.alias(hit))
+    return (out.where(~F.col(hit) | (F.trim(F.regexp_replace(F.col(f"`{text_col}`"), r"\s+", " ")) != "")) if drop_emptied else out).drop(hit)

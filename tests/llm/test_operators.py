@@ -92,24 +92,23 @@ def one_edit(a, b):
 
 
 def brute_lines(rows):
-    lines = sorted({(i, k, x.strip(" ")) for i, t in rows if i is not None and t for k, x in enumerate(t.split("\n")) if len(x.strip(" ")) >= 16})
+    lines = sorted({(i, k, x.strip(" ")) for i, t in rows if i is not None and t for k, x in enumerate(t.split("\n")) if x.strip(" ")})
     first, exact, near = {}, set(), set()
     for i, k, x in lines:
         if x in first:
             exact.add((i, k))
         else:
             first[x] = (i, k)
-    ordered = sorted((p, x) for x, p in first.items())
+    ordered = sorted((p, x) for x, p in first.items() if len(x) >= 16)
     for n, (p, x) in enumerate(ordered):
         if any(one_edit(x, y) for _, y in ordered[:n]):
             near.add(p)
     return exact, near
 
 
-@pytest.mark.parametrize("small", [32, 2])
-def test_lines(spark, small):
+def test_lines(spark):
     r = random.Random(4)
-    base = ["The quick brown fox jumps over", "Template line number here", "x" * 20, "abababababababab", "漢字かな交じり文の行はここにありますよ"]
+    base = ["The quick brown fox jumps over", "Template line number here", "x" * 20, "abababababababab", "漢字かな交じり文の行はここにありますよ", "short", " ".join(f"word{k}" for k in range(40))]
     rows = list(ODD)
     for i in range(10, 50):
         out = []
@@ -121,11 +120,11 @@ def test_lines(spark, small):
             out.append(t)
         rows.append((i, "\n".join(out)))
     rows.append(rows[-1])
-    df = spark.createDataFrame([(*x, 0) for x in rows], DOCS + ", id int")
+    df = spark.createDataFrame([(*x, 0, 0, 0) for x in rows], DOCS + ", id int, _id int, _hit int")
     exact, near = brute_lines(rows)
-    got = line_dedup.line_decisions(df, small=small).collect()
+    got = line_dedup.line_decisions(df).collect()
     assert {(x.id, k) for x in got for k in x.exact} == exact and {(x.id, k) for x in got for k in x.near} == near and near
-    kept = line_dedup.dedup_lines(df, small=small)
+    kept = line_dedup.dedup_lines(df)
     assert kept.columns == df.columns
     texts = {x.doc_id: x.text for x in kept.collect()}
     assert texts[1] is None and texts[2] == "" and None in texts and texts[3] == "  \n "
@@ -135,6 +134,16 @@ def test_lines(spark, small):
             assert texts.get(i, "") == left
 
 
+def test_block_variants_meet():
+    r = random.Random(12)
+    for _ in range(4000):
+        a = "".join(r.choice("ab") for _ in range(r.randint(0, 60)))
+        k = r.randint(0, len(a))
+        b = r.choice([a[:k] + "c" + a[k:], a[:k] + a[k + 1 :], a[:k] + "c" + a[k + 1 :]])
+        common = {x[0] for x in line_dedup.block_keys(7, a)} & {x[0] for x in line_dedup.block_keys(7, b)}
+        assert common, (a, b)
+
+
 def test_lines_of_nothing(none):
     assert line_dedup.dedup_report(none).count() == 0 and line_dedup.dedup_lines(none).count() == 0
 
