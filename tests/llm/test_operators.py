@@ -381,13 +381,10 @@ def test_links_against_all_pairs(spark):
     prints = sorted({b ^ sum(1 << k for k in r.sample(range(64), r.randint(0, 3))) for b in base for _ in range(40)})
     signed = [p - (1 << 64) if p >> 63 else p for p in prints]
     df = spark.createDataFrame([(p,) for p in signed], "fp bigint")
-    comps = {x.node: x.component for x in connected_components(simhash.links(df)).collect()}
-    for n, a in enumerate(signed):
-        for b in signed[n + 1 :]:
-            if bin((a ^ b) & (1 << 64) - 1).count("1") <= 2:
-                assert comps[a] == comps[b]
-    for x in simhash.links(df).collect():
-        assert bin((x.a ^ x.b) & (1 << 64) - 1).count("1") <= 2
+    far = lambda a, b: bin((a ^ b) & (1 << 64) - 1).count("1")
+    for distance, segments, full in ((2, 2, 256), (2, 2, 3), (3, 2, 5), (5, 4, 256), (2, 3, 4), (4, 2, 8)):
+        want = sorted((min(a, b), max(a, b)) for n, a in enumerate(signed) for b in signed[n + 1 :] if far(a, b) <= distance)
+        assert sorted(tuple(x) for x in simhash.links(df, distance, segments, full).collect()) == want, (distance, segments, full)
 
 
 def test_components_of_a_long_chain(spark):
