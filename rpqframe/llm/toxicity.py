@@ -7,8 +7,8 @@ word is read once, whatever the lexicon's size, and misspelled terms are found w
 edit count. A window around each hit tells quotation from abuse. A logistic model over the counts of
 exact, misspelled, quoted and unquoted hits gives the score; it is fitted on the same training rows.
 
-Bounds: at most ``max_train`` labelled rows (those of least hash) fit the lexicon and the model,
-and at most ``max_entries`` entries are kept. Everything else covers all rows and whole texts.
+Bounds: at most ``max_train`` labelled rows (those of least hash) fit the lexicon and the model. Everything
+else covers all rows and whole texts.
 
 Defined results: null and empty texts score as texts without hits; a null id is never held out;
 a row repeated in the input is repeated in the result; a null label does not train; without
@@ -19,6 +19,7 @@ from __future__ import annotations
 
 import math
 import re
+from bisect import bisect_left
 from collections import Counter
 from collections.abc import Iterator
 
@@ -27,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rpqframe.llm.common import pick, text_slices
+from rpqframe.llm.common import fresh, pick, text_slices
 
 WORD = re.compile(r"[^\W\d_]+")
 #: Words that report what someone else said.
@@ -37,6 +38,8 @@ STEM_LENGTHS = range(4, 9)
 THRESHOLD = 0.3
 CLEAN_WORDS = 600_000
 FLUSH_TERMS = 300_000
+#: States of an automaton that are kept between words.
+MAX_STATES = 200_000
 
 
 class FuzzyTrie:
@@ -64,6 +67,10 @@ class FuzzyTrie:
                 self.slack[node] = max(self.slack[node], most)
             self.ends[node].append(k)
         self.alphabet = {ch for kids in self.kids for ch in kids}
+        self._restart()
+
+    def _restart(self) -> None:
+        """Forget all states but the first two; they are made again as words need them."""
         self.states: dict[frozenset, int] = {}
         self.members: list[frozenset] = []
         self.accepts: list[tuple[tuple[int, int] | None, tuple[int, int] | None]] = []
@@ -113,6 +120,8 @@ class FuzzyTrie:
 
     def look(self, word: str) -> tuple[int, int] | None:
         """(edits, entry) of the nearest entry, or None."""
+        if len(self.members) > MAX_STATES:
+            self._restart()
         state, best, moves, accepts = self.start, None, self.moves, self.accepts
         for ch in word:
             nxt = moves[state].get(ch)
@@ -126,15 +135,30 @@ class FuzzyTrie:
         return whole if whole is not None and (best is None or whole < best) else best
 
 
-def is_quoted(text: str, at: int, end: int, window: int = 80) -> bool:
-    """Whether the hit stands inside quotation marks of its line, in a quoted line or after a reporting word."""
-    line = text.rfind("\n", 0, at) + 1
-    before = text[max(line, at - 400) : at]
-    if text.startswith(">", line) or before.count('"') % 2 == 1 and '"' in text[end : end + 400].split("\n", 1)[0]:
-        return True
-    if any(before.count(o) > before.count(c) for o, c in zip(OPEN, CLOSE)):
-        return True
-    return not REPORTING.isdisjoint(WORD.findall(before[-window:].lower())[-4:])
+def quoted(text: str, spans: list[tuple[int, int]], window: int = 80) -> list[bool]:
+    """For each span, in order, whether it stands inside quotation marks of its line, in a quoted line or after a reporting word.
+
+    Marks are counted from the line's start, however long the line is, and each character once.
+    """
+    out, line, seen, marks, nxt = [], 0, 0, {}, -1
+    for at, end in spans:
+        start = text.rfind("\n", seen, at) + 1
+        if start or not out:
+            line = seen = start or 0
+            marks = dict.fromkeys('"' + OPEN + CLOSE, 0)
+        for ch in marks:
+            marks[ch] += text.count(ch, seen, at)
+        seen = at
+        inside = any(marks[o] > marks[c] for o, c in zip(OPEN, CLOSE))
+        if not inside and marks['"'] % 2:
+            if nxt < end:
+                nxt = text.find('"', end)
+                nxt = len(text) if nxt < 0 else nxt
+            stop = text.find("\n", end, nxt)
+            inside = nxt < len(text) and stop < 0
+        before = text[max(line, at - window) : at]
+        out.append(inside or text.startswith(">", line) or not REPORTING.isdisjoint(WORD.findall(before)[-4:]))
+    return out
 
 
 FEATURES = 6
@@ -160,7 +184,9 @@ class Scorer:
         self.clean |= new - found.keys()
         if not found:
             return []
-        return [(m.start(), m.end(), found[m[0]][1], found[m[0]][0], is_quoted(low, m.start(), m.end())) for m in WORD.finditer(low) if m[0] in found]
+        places = [m for m in WORD.finditer(low) if m[0] in found]
+        flags = quoted(low, [m.span() for m in places])
+        return [(*m.span(), found[m[0]][1], found[m[0]][0], q) for m, q in zip(places, flags)]
 
     def features(self, hits: list[tuple[int, int, int, int, bool]]) -> list[float]:
         counts = Counter((e > 0, q) for _, _, _, e, q in hits)
@@ -204,7 +230,7 @@ def _term_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield flush()
 
 
-def learn_lexicon(train: DataFrame, max_entries: int = 1024, least_llr: float = 22.0, least_precision: float = 0.8) -> list[tuple[str, bool, float]]:
+def learn_lexicon(train: DataFrame, least_llr: float = 22.0, least_precision: float = 0.8) -> list[tuple[str, bool, float]]:
     """(term, is_stem, weight): the terms whose presence goes with the toxic label."""
     sizes = {r.label: r["count"] for r in train.groupBy((F.col("label") > 0).cast("int").alias("label")).count().collect()}
     n1, n0 = sizes.get(1, 0), sizes.get(0, 0)
@@ -215,22 +241,21 @@ def learn_lexicon(train: DataFrame, max_entries: int = 1024, least_llr: float =
     p, q, seen = F.col("pos"), F.col("neg"), F.col("pos") + F.col("neg")
     llr = 2 * sum(part(k, e) for k, e in ((p, seen * n1 / (n1 + n0)), (q, seen * n0 / (n1 + n0)), (n1 - p, (n1 + n0 - seen) * n1 / (n1 + n0)), (n0 - q, (n1 + n0 - seen) * n0 / (n1 + n0))))
     good = terms.where((p >= 4) & (p >= least_precision * seen)).withColumn("llr", llr).where(F.col("llr") >= least_llr)
-    rows = good.orderBy(F.desc("llr"), "term").limit(4 * max_entries).collect()
+    rows = good.collect()  # terms of at most max_train texts that pass both thresholds
     by_term = {r.term: r for r in rows}
+    names = sorted(by_term)
     entries: list[tuple[str, bool, float]] = []
     for r in sorted(rows, key=lambda r: (-r.pos, r.term)):
         stem = r.term.removesuffix("*")
         if any(stem.startswith(t) if s else stem == t for t, s, _ in entries):
             continue
-        same = [t for t in by_term if t.startswith(stem) and by_term[t].pos >= 0.97 * r.pos]
+        same = [t for t in names[bisect_left(names, stem) : bisect_left(names, stem + "\U0010ffff")] if by_term[t].pos >= 0.97 * r.pos]
         best = max(same, key=lambda t: (not t.endswith("*"), len(t), t))
         b = best.removesuffix("*")
         if any((b.startswith(t) if s else b == t) or t.startswith(stem) and s is False and by_term[r.term].pos < 1.5 * by_term[t].pos for t, s, _ in entries):
             continue
         pos, neg = by_term[best].pos, by_term[best].neg
         entries.append((b, best.endswith("*"), math.log((pos + 0.5) / (n1 + 1)) - math.log((neg + 0.5) / (n0 + 1))))
-        if len(entries) >= max_entries:
-            break
     return entries
 
 
@@ -259,9 +284,9 @@ class Model:
         return 1 / (1 + np.exp(-np.clip(np.array(features).reshape(-1, FEATURES) @ self.beta, -30, 30)))
 
 
-def train_model(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", max_train: int = 20_000, max_entries: int = 1024) -> Model:
+def train_model(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", max_train: int = 20_000) -> Model:
     train = training_rows(docs, labels, id_col, text_col, label_col, max_train)
-    entries = learn_lexicon(train, max_entries)
+    entries = learn_lexicon(train)
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = Scorer(entries)
@@ -280,17 +305,18 @@ def train_model(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text
 
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
     """id_col, held_out, score, predicted, n_hits, n_misspelled, n_quoted; one row per input row."""
-    flagged = with_score(pick(docs, id_col, text_col), model, text_col)
+    flagged, tox = with_score(pick(docs, id_col, text_col), model, text_col)
     return flagged.select(
-        id_col, held_out(f"`{id_col}`").alias("held_out"), F.col("__tox.score").alias("score"), (F.col("__tox.score") >= threshold).cast("int").alias("predicted"),
-        F.col("__tox.n_hits").alias("n_hits"), F.col("__tox.n_misspelled").alias("n_misspelled"), F.col("__tox.n_quoted").alias("n_quoted"),
+        id_col, held_out(f"`{id_col}`").alias("held_out"), F.col(f"{tox}.score").alias("score"), (F.col(f"{tox}.score") >= threshold).cast("int").alias("predicted"),
+        F.col(f"{tox}.n_hits").alias("n_hits"), F.col(f"{tox}.n_misspelled").alias("n_misspelled"), F.col(f"{tox}.n_quoted").alias("n_quoted"),
     )
 
 
-def with_score(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
-    """The documents with a struct column __tox: score, n_hits, n_misspelled, n_quoted."""
+def with_score(docs: DataFrame, model: Model, text_col: str = "text") -> tuple[DataFrame, str]:
+    """The documents with a struct column (score, n_hits, n_misspelled, n_quoted), and its name, which is new to them."""
+    tox = fresh("tox", docs)
     kind = "struct<score:double,n_hits:int,n_misspelled:int,n_quoted:int>"
-    src = docs.drop("__tox").withColumn("__tox", F.lit(None).cast(kind))
+    src = docs.withColumn(tox, F.lit(None).cast(kind))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = Scorer(model.entries)
@@ -305,8 +331,10 @@ def with_score(docs: DataFrame, model: Model, text_col: str = "text") -> DataFra
                 kinds = pa.struct([("score", pa.float64()), ("n_hits", pa.int32()), ("n_misspelled", pa.int32()), ("n_quoted", pa.int32())])
                 yield pa.RecordBatch.from_arrays([*rows.columns[:-1], pa.array(out, kinds)], names=rows.schema.names)
 
-    return src.mapInArrow(run, src.schema)
+    return src.mapInArrow(run, src.schema), tox
 
 
 def drop_toxic(docs: DataFrame, model: Model, text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
-    return with_score(docs, model, text_col).where(F.col("__tox.score") < threshold).drop("__tox")
+    """The documents of a lower score than the threshold, with all their columns."""
+    flagged, tox = with_score(docs, model, text_col)
+    return flagged.where(F.col(f"{tox}.score") < threshold).drop(tox)
