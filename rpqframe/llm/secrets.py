@@ -1,6 +1,8 @@
 """Secret scans: candidates by pattern, a random forest removes the false positives.
 
-DataFrame functions and the JVM's forest learner only. Candidates are long runs that hold a digit.
+DataFrame functions and the JVM's forest learner only. Candidates are runs of 16 and more characters that
+hold a digit, and whatever of six and more stands assigned to a name such as password, token or key. A run
+without a digit that is assigned to no such name is no candidate: nothing tells it from a word.
 Their features are length, character transitions and classes, dictionary coverage, path
 and identifier shapes, and neighbouring words. The forest is trained from labelled findings and then
 written out as expressions, so scanning is a single pass over the documents without a shuffle.
@@ -20,10 +22,13 @@ import re
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rpqframe.llm.common import pick
+from rpqframe.llm.common import fresh, pick
 from rpqframe.llm.spans import matches
 
-CANDIDATE = r"(?<![A-Za-z0-9_+/=.-])(?=[A-Za-z_+/=.-]{0,40}[0-9])[A-Za-z0-9_+/=.-]{16,}"
+CANDIDATE = r"(?<![A-Za-z0-9_+/.-])(?=[A-Za-z_+/.-]*+[0-9])[A-Za-z0-9_+/.-]{16,}+={0,2}"
+#: A name, what assigns, and the value.
+NAMED = r"(?i)(?:passw(?:or)?d|passphrase|pwd|secret|token|credential|(?:api|access|private|auth)[_ -]?key)[\"'`]?\s{0,3}[:=]\s{0,3}[\"'`]?"
+VALUE = r"[^\s\"'`<>,;(){}\[\]]{6,}"
 WINDOW = 40
 
 #: Dictionary of words that ordinary identifiers are made of.
@@ -71,6 +76,7 @@ def features(cand: Column, before: Column) -> dict[str, Column]:
 KINDS = [
     (1, "token = \"", "{h40}"), (1, "secret: '", "{h32}"), (1, "api_key=", "{b40}"), (1, "password = \"", "{b20}"), (1, "access key ", "AKIA{H16}"), (1, "with ", "ghp_{b36}"),
     (1, "Authorization: Bearer ", "{b64}"), (1, "credential ", "sk-{b48}"), (1, "export TOKEN=", "{h64}"), (1, "key ", "AIza{b35}"), (1, "auth ", "eyJ{b60}"), (1, "private_key: ", "{b52}=="),
+    (1, "password=", "{b10}"), (1, "pwd: ", "{b14}"), (1, "secret = '", "{h24}"), (0, "password: ", "{w}"), (0, "token = ", "{w}.{v}"), (0, "secret: ", "{w}_{v}"), (0, "password=", "{w}{v}"),
     (0, "commit ", "{h40}"), (0, "checksum: ", "{h32}"), (0, "sha256 = ", "{h64}"), (0, "id=", "{h8}-{h4}-{h4}-{h4}-{h12}"), (0, "see ", "/{w}/{v}/{w}{d2}/{v}.html"), (0, "file ", "{w}_{v}_{w}_{d4}"),
     (0, "on ", "{d4}-{d2}-{d2}T{d2}.{d2}.{d2}"), (0, "token = \"", "xxxxxxxxxxxxxxxx{d2}"), (0, "password: ", "example-{w}-{v}-{d2}"), (0, "call ", "{d20}"), (0, "call ", "{w}{v}{w}{v}{d2}"), (0, "version ", "{d1}.{d2}.{d4}-{w}.{v}"),
     (0, "the ", "www.{w}{v}{d2}.com/{w}"), (0, "mail ", "{w}.{v}.{d2}.{w}.com"), (0, "etag ", "{h32}"), (0, "page ", "{d16}"), (0, "secret of ", "{w}-{v}-{w}-{d2}"), (0, "token type ", "{w}/{v}/{w}/{d2}.{v}"),
@@ -103,15 +109,25 @@ def rule_findings(spark: SparkSession, per_kind: int = 60) -> DataFrame:
     return rows.select("x.*")
 
 
-def train_forest(findings: DataFrame, trees: int = 24, depth: int = 6, seed: int = 11) -> list[str]:
-    """One SQL expression over the feature names for each tree; its value is the tree's vote (0 or 1)."""
-    from pyspark.ml.classification import RandomForestClassifier
+def feature_rows(findings: DataFrame) -> DataFrame:
+    """features (a vector) and label of each finding."""
     from pyspark.ml.feature import VectorAssembler
 
     rows = findings.select("label", *[c.alias(k) for k, c in features(F.col("candidate"), F.col("before")).items()])
-    data = VectorAssembler(inputCols=FEATURES, outputCol="features").transform(rows).select("features", "label").coalesce(1)
-    model = RandomForestClassifier(numTrees=trees, maxDepth=depth, seed=seed, featureSubsetStrategy="onethird").fit(data)
-    return [tree_sql(t.toDebugString) for t in model.trees]
+    return VectorAssembler(inputCols=FEATURES, outputCol="features").transform(rows)
+
+
+def fit_forest(findings: DataFrame, trees: int = 24, depth: int = 6, seed: int = 11, max_findings: int = 200_000):
+    """The learner's model of at most ``max_findings`` findings, those of least hash; in one partition, so that the draws do not depend on the cluster."""
+    from pyspark.ml.classification import RandomForestClassifier
+
+    some = findings.orderBy(F.xxhash64("before", "candidate"), "before", "candidate", "label").limit(max_findings).coalesce(1)
+    return RandomForestClassifier(numTrees=trees, maxDepth=depth, seed=seed, featureSubsetStrategy="onethird").fit(feature_rows(some).select("features", "label"))
+
+
+def train_forest(findings: DataFrame, trees: int = 24, depth: int = 6, seed: int = 11, max_findings: int = 200_000) -> list[str]:
+    """One SQL expression over the feature names for each tree; its value is the tree's vote (0 or 1)."""
+    return [tree_sql(t.toDebugString) for t in fit_forest(findings, trees, depth, seed, max_findings).trees]
 
 
 def tree_sql(text: str) -> str:
@@ -132,7 +148,12 @@ def tree_sql(text: str) -> str:
 def scan(docs: DataFrame, forest: list[str], id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.5) -> DataFrame:
     """id_col, findings: array<struct<s,e,m,p>> of all candidates with place, text and share of votes; secrets: those kept."""
     src = pick(docs, id_col, text_col).toDF("id", "text").withColumn("text", F.coalesce(F.col("text").cast("string"), F.lit("")))
-    cands = F.when(F.col("text").rlike(CANDIDATE), matches(F.col("text"), F.lit(CANDIDATE))).otherwise(F.array().cast("array<struct<s:int,e:int,m:string>>"))
+    none = F.array().cast("array<struct<s:int,e:int,m:string>>")
+    runs = F.when(F.col("text").rlike(CANDIDATE), matches(F.col("text"), F.lit(CANDIDATE))).otherwise(none)
+    own = lambda c: F.regexp_replace(c["m"], "^" + NAMED, "")
+    named = F.transform(matches(F.col("text"), F.lit(NAMED + VALUE)), lambda c: F.struct((c["e"] - F.length(own(c))).alias("s"), c["e"].alias("e"), own(c).alias("m")))
+    named = F.when(F.col("text").rlike(NAMED + VALUE), named).otherwise(none)
+    cands = F.when(F.size(named) > 0, F.sort_array(F.array_union(named, runs))).otherwise(runs)
     before = lambda c: F.substring(F.col("text"), F.greatest(F.lit(1), c["s"] + 1 - WINDOW), F.least(F.lit(WINDOW), c["s"]))
     feats = F.transform("cands", lambda c: F.struct(c["s"].alias("s"), c["e"].alias("e"), c["m"].alias("m"), F.struct(*[v.alias(k) for k, v in features(c["m"], before(c)).items()]).alias("f")))
     votes = " + ".join(t.replace("f.", "x.f.") for t in forest)
@@ -141,9 +162,20 @@ def scan(docs: DataFrame, forest: list[str], id_col: str = "doc_id", text_col: s
     return out.select(F.col("id").alias(id_col), "findings", F.filter("findings", lambda f: f["p"] >= threshold).alias("secrets"))
 
 
+def merged(spans: Column) -> Column:
+    """Sorted places without those that start within an earlier one; the earlier one takes in what sticks out."""
+    first = F.array(F.struct(F.lit(0).alias("s"), F.lit(0).alias("e")))
+    last = lambda acc: F.element_at(acc, -1)
+    both = lambda acc, x: F.concat(F.slice(acc, F.lit(1), F.size(acc) - 1), F.array(F.struct(last(acc)["s"].alias("s"), F.greatest(last(acc)["e"], x["e"]).alias("e"))))
+    return F.aggregate(spans, first, lambda acc, x: F.when(x["s"] < last(acc)["e"], both(acc, x)).otherwise(F.concat(acc, F.array(F.struct(x["s"].alias("s"), x["e"].alias("e"))))))
+
+
 def redact(docs: DataFrame, forest: list[str], text_col: str = "text", threshold: float = 0.5, mark: str = "[secret]") -> DataFrame:
-    """The documents with every kept secret replaced by a mark; texts without one stay as they are."""
-    keys = docs.withColumn("__row", F.struct(*[F.col(f"`{c}`") for c in docs.columns]))
-    found = scan(keys, forest, "__row", text_col, threshold)
-    masked = F.aggregate("secrets", F.col(f"__row.`{text_col}`"), lambda t, s: F.replace(t, s["m"], F.lit(mark)))
-    return found.select(*[(masked if c == text_col else F.col(f"__row.`{c}`")).alias(c) for c in docs.columns])
+    """The documents with a mark in the place of every kept secret; the same characters elsewhere stay, and so do texts without one."""
+    row, spans = fresh("row", docs), fresh("spans", docs)
+    keys = docs.withColumn(row, F.struct(*[F.col(f"`{c}`") for c in docs.columns]))
+    found = scan(keys, forest, row, text_col, threshold).withColumn(spans, merged("secrets"))
+    text, at = F.col(f"{row}.`{text_col}`"), F.col(spans)
+    gap = lambda x, i: F.substring(text, x["e"] + 1, F.coalesce(F.get(at, i + 1)["s"], F.length(text)) - x["e"])
+    masked = F.when(F.size("secrets") == 0, text).otherwise(F.array_join(F.transform(at, gap), mark))
+    return found.select(*[(masked if c == text_col else F.col(f"{row}.`{c}`")).alias(c) for c in docs.columns])
