@@ -95,6 +95,30 @@ FORMS = [
 ]
 
 
+#: Label, rare keyword, and words of the license or of its notice itself; blanks stand for any blanks.
+TEXTS = [
+    ("gpl-notice", "free software", r"this program is free software:? you can redistribute it and/or modify"),
+    ("gpl-text", "verbatim copies", r"everyone is permitted to copy and distribute verbatim copies of this license document"),
+    ("lgpl-notice", "free software", r"this library is free software;? you can redistribute it and/or modify"),
+    ("gpl-or-later", "any later version", r"either version [123] of the license,? or \(at your option\) any later version"),
+    ("mit-text", "without restriction", r"to deal in the software without restriction, including without limitation the rights"),
+    ("as-is", "without warranty", r"the software is provided .{0,3}as is.{0,3},? without warranty of any kind"),
+    ("isc-text", "distribute this software", r"permission to use, copy, modify,? (?:and|and/or) distribute this software for any purpose"),
+    ("bsd-text", "redistribution", r"redistribution and use in source and binary forms,? with or without modification,? are permitted"),
+    ("bsd-3-text", "endorse or promote", r"may be used to endorse or promote products derived from this software without"),
+    ("bsd-4-text", "advertising materials", r"all advertising materials mentioning features or use of this software must"),
+    ("apache-2.0-notice", "except in compliance", r"you may not use this file except in compliance with the license"),
+    ("mpl-2.0-notice", "source code form", r"this source code form is subject to the terms of the mozilla public license"),
+    ("mpl-1.1-notice", "contents of this file", r"the contents of this file are subject to the mozilla public license"),
+    ("epl-notice", "accompanying materials", r"this program and the accompanying materials are made available under the terms of the eclipse"),
+    ("zlib-text", "express or implied", r"this software is provided .{0,3}as-is.{0,3},? without any express or implied warranty"),
+    ("unlicense-text", "unencumbered", r"this is free and unencumbered software released into the public domain"),
+    ("cc-notice", "creative commons", r"this work is (?:licensed|made available) under (?:a|the) creative commons"),
+    ("artistic-text", "standard version", r"you may make and give away verbatim copies of the source form of the standard version"),
+    ("boost-text", "machine-executable", r"machine-executable object code generated by a source language processor"),
+    ("ofl-text", "font software", r"the font software may be modified, altered, or added to"),
+]
+
 #: Families whose names can be stated without the word licence; all other names need it.
 FREE = set(
     "gpl-3.0 gpl-2.0 lgpl-3.0 lgpl-2.1 agpl-3.0 mit-text bsd-4-clause bsd-3-clause 0bsd cc-by-nc-sa cc-by-nc-nd cc-by-nc cc-by-sa cc-by-nd cc-by-4.0 cc-by-3.0 cc-by-any cc0 unlicense public-domain wtfpl proprietary copyright".split()
@@ -102,21 +126,21 @@ FREE = set(
 
 
 def rules() -> list[dict]:
-    """All signature rules in their order: keywords (both must stand in the text), pattern, label, order, confidence."""
-    out = []
+    """All signature rules in their order: keywords (one of ``k`` and also ``k2`` must stand in the text), pattern, label, order, confidence."""
+    out = [{"k": [key], "k2": "", "r": text.replace(" ", r"\s+"), "l": label, "o": 1, "c": 0.95} for label, key, text in TEXTS]
     for label, keywords, name, spdx, url in FAMILIES:
         for order, conf, part, form in FORMS:
             value = {"N": rf"(?<![a-z0-9])(?:{name})(?:s\b|(?![a-z0-9]))", "S": spdx, "U": url}[part]
             if value:
-                for k in keywords.split("|") if part == "N" else [{"S": "licen", "U": "http"}[part]]:
-                    need = "licen" if part == "N" and label not in FREE else k
-                    out.append({"k": k, "k2": need, "r": form.replace(part, value, 1) if part != "N" else form.removesuffix("N") + value, "l": label, "o": order, "c": conf})
+                own = keywords.split("|") if part == "N" else [{"S": "licen", "U": "http"}[part]]
+                need = "licen" if part == "N" and label not in FREE else ""
+                out.append({"k": own, "k2": need, "r": form.replace(part, value, 1) if part != "N" else form.removesuffix("N") + value, "l": label, "o": order, "c": conf})
     return sorted(out, key=lambda r: r["o"])
 
 
-_RULE = "array<struct<k:string,k2:string,r:string,l:string,o:int,c:double>>"
+_RULE = "array<struct<k:array<string>,k2:string,r:string,l:string,o:int,c:double>>"
 #: No rule can match a text without one of these.
-_GATE = ["licen", "http", "gpl", "affero", "bsd", "cc by", "cc-by", "cc0", "commons", "domain", "wtfpl", "hereby", "reserved", "proprietary", "copyright", "©", "publicdomain"]
+_GATE = ["licen", "http", "gpl", "affero", "bsd", "cc by", "cc-by", "cc0", "commons", "domain", "wtfpl", "hereby", "reserved", "proprietary", "copyright", "©", "publicdomain", *sorted({k for _, k, _ in TEXTS})]
 
 
 def detections(low: str, flat: str) -> Column:
@@ -126,17 +150,59 @@ def detections(low: str, flat: str) -> Column:
     """
     text = F.col(low)
     table = F.from_json(F.lit(json.dumps(rules())), _RULE)
-    live = F.filter(table, lambda r: F.contains(F.col(flat), r["k2"]) & F.contains(F.col(flat), r["k"]))
+    live = F.filter(table, lambda r: F.contains(F.col(flat), r["k2"]) & F.exists(r["k"], lambda k: F.contains(F.col(flat), k)))
     found = F.flatten(
         F.transform(live, lambda r: F.transform(matches(text, r["r"]), lambda m: F.struct(m["s"].alias("s"), m["e"].alias("e"), r["l"].alias("l"), r["o"].alias("o"), r["c"].alias("c"))))
     )
     return F.sort_array(F.array_distinct(found))
 
 
+#: Detections that one pass of the sweep copies flags of.
+BLOCK = 512
+
+
 def unsuppressed(found: str) -> Column:
-    """The detections in a column that lie in no longer one of their order or a higher one."""
-    inside = lambda d, x: (x["s"] <= d["s"]) & (x["e"] >= d["e"]) & (x["o"] <= d["o"]) & ((x["e"] - x["s"] > d["e"] - d["s"]) | (x["o"] < d["o"]))
-    return F.filter(found, lambda d: ~F.exists(found, lambda x: inside(d, x)))
+    """The detections in a column that lie in no longer one of their order or a higher one.
+
+    A sweep by start, longest first: for each order it keeps the farthest end so far, with the farthest end of any
+    other interval beside it, so that equal intervals of one order keep each other.
+    """
+    swept = F.array_sort(found, lambda x, y: _sign([x["s"] - y["s"], y["e"] - x["e"], x["o"] - y["o"], F.when(x["l"] < y["l"], -1).when(x["l"] > y["l"], 1).otherwise(0)]))
+    orders = range(1 + max(r["o"] for r in rules()))
+    none = F.struct(F.lit(-1).alias("s"), F.lit(-1).alias("e"), F.lit(-1).alias("e0"))
+    zero = F.struct(*[none.alias(f"o{k}") for k in orders], F.lit("").alias("flags"))
+
+    def step(acc: Column, d: Column) -> Column:
+        hit, nxt = F.lit(False), []
+        for k in orders:
+            b = acc[f"o{k}"]
+            same = (b["s"] == d["s"]) & (b["e"] == d["e"])
+            other = F.when(same, b["e0"]).otherwise(b["e"])  # the farthest end of another interval
+            hit |= (d["o"] == k) & (other >= d["e"]) | (d["o"] > k) & (b["e"] >= d["e"])
+            far = F.struct(d["s"].alias("s"), d["e"].alias("e"), b["e"].alias("e0"))
+            near = F.struct(b["s"].alias("s"), b["e"].alias("e"), F.when(same, b["e0"]).otherwise(F.greatest(b["e0"], d["e"])).alias("e0"))
+            nxt.append(F.when(d["o"] != k, b).when(d["e"] > b["e"], far).otherwise(near).alias(f"o{k}"))
+        return F.struct(*nxt, F.concat(acc["flags"], F.when(hit, "0").otherwise("1")).alias("flags"))
+
+    def block(acc: Column, b: Column) -> Column:
+        own = F.aggregate(b, F.struct(*[acc[f"o{k}"].alias(f"o{k}") for k in orders], F.lit("").alias("flags")), step)
+        # one element, so that the block is swept once
+        return F.element_at(F.transform(F.array(own), lambda x: F.struct(*[x[f"o{k}"].alias(f"o{k}") for k in orders], F.concat(acc["flags"], x["flags"]).alias("flags"))), 1)
+
+    def keep(all_: Column) -> Column:
+        blocks = F.transform(F.sequence(F.lit(0), F.size(all_) - 1, F.lit(BLOCK)), lambda k: F.slice(all_, k + 1, F.lit(BLOCK)))
+        flags = F.split(F.aggregate(blocks, zero, block)["flags"], "")
+        return F.transform(F.filter(F.arrays_zip(all_.alias("d"), F.slice(flags, F.lit(1), F.size(all_)).alias("f")), lambda x: x["f"] == "1"), lambda x: x["d"])
+
+    return F.sort_array(F.flatten(F.transform(F.array(swept), keep)))
+
+
+def _sign(parts: list[Column]) -> Column:
+    """The first part that is not zero."""
+    out = parts[-1]
+    for x in reversed(parts[:-1]):
+        out = F.when(x != 0, x).otherwise(out)
+    return out
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
