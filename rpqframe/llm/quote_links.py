@@ -16,10 +16,10 @@ or only its own message, gives no parent; extra columns are ignored.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from rpqframe.llm.common import checkpoint, pick
+from rpqframe.llm.common import checkpoint, join_dealt, pick
 
 MIN_CHARS = 8
 QUOTED = r"^\s*(?:>\s*)+"
@@ -43,20 +43,20 @@ def message_lines(messages: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
 def find_links(messages: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
     """conv, turn, n_quoted, n_linked, parent (struct<conv,turn> or null) of each message that quotes."""
     lines = message_lines(messages, min_chars)
-    quotes = lines.where("level >= 1").groupBy("conv", "turn", "hash").agg(F.min("level").alias("level"))
-    wanted = quotes.select("hash").distinct()
-    own = lines.where("level = 0").join(wanted, "hash", "left_semi")
-    # one row for each conversation, hash and quoting turn: the latest earlier turn with that line
-    local = own.groupBy("conv", "hash", "turn").agg(F.lit(1).alias("one")).drop("one")
-    near = (
-        quotes.select("conv", "hash", F.col("turn").alias("q")).distinct()
-        .join(local, ["conv", "hash"]).where("turn < q")
-        .groupBy("conv", "hash", "q").agg(F.max("turn").alias("t"))
-        .select("conv", "hash", F.col("q").alias("turn"), F.struct("conv", F.col("t").alias("turn")).alias("near"))
-    )
-    anywhere = own.groupBy("hash").agg(F.min(F.struct("conv", "turn")).alias("far"))
+    quotes = checkpoint(lines.where("level >= 1").groupBy("conv", "turn", "hash").agg(F.min("level").alias("level")))
+    asked = quotes.groupBy("hash").agg(F.count("*").alias("n"))
+    # one row for each message and line, then only lines that are quoted somewhere
+    own = lines.where("level = 0").select("conv", "turn", "hash").distinct().join(asked.select("hash"), "hash", "left_semi")
+    own = checkpoint(own)
+    # as of each quoting turn, the latest earlier turn of the conversation with that line
+    order = Window.partitionBy("conv", "hash").orderBy("turn", "own").rowsBetween(Window.unboundedPreceding, -1)
+    both = quotes.select("conv", "turn", "hash", "level", F.lit(0).alias("own")).unionByName(own.select("conv", "turn", "hash", F.lit(None).cast("int").alias("level"), F.lit(1).alias("own")))
+    seen = both.withColumn("t", F.last(F.when(F.col("own") == 1, F.col("turn")), ignorenulls=True).over(order)).where("own = 0")
+    near = seen.select("conv", "turn", "hash", "level", F.when(F.col("t").isNotNull(), F.struct("conv", F.col("t").alias("turn"))).alias("near"))
+    anywhere = asked.join(own.groupBy("hash").agg(F.min(F.struct("conv", "turn")).alias("far")), "hash", "left")
+    total = quotes.count()
     me = F.struct("conv", "turn")
-    source = quotes.join(near, ["conv", "hash", "turn"], "left").join(anywhere, "hash", "left")
+    source = join_dealt(near, anywhere, ["hash"], "n", total)
     source = source.withColumn("source", F.coalesce("near", F.when(F.col("far") < me, F.col("far"))))
     votes = source.groupBy("conv", "turn", "source").agg(F.count("*").alias("n"), F.min("level").alias("level"))
     best = F.max(F.when(F.col("source").isNotNull(), F.struct((-F.col("level")).alias("l"), "n", "source")))
@@ -94,4 +94,29 @@ def reply_threads(messages: DataFrame, conv_col: str = "conv_id", turn_col: str
 
 
 def reply_order(threads: DataFrame) -> list[Column]:
-    return [F.col(c) for c in ("root_conv", "root_turn", "depth") if c in threads.columns] + [F.col(threads.columns[0]), F.col(threads.columns[1])]
+    """Columns that order the messages of ``reply_threads``: thread by thread, replies after what they answer."""
+    return [F.col(c) for c in ("root_conv", "root_turn", "depth")] + [F.col(threads.columns[0]), F.col(threads.columns[1])]
+
+
+def conversations(messages: DataFrame, conv_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text", min_chars: int = MIN_CHARS, most: int = 256) -> DataFrame:
+    """Reply-ordered conversations without quotes: root_conv, root_turn, part, messages (array of conv, turn, role, text).
+
+    A message that answers none starts a conversation of its own, but stays with the turns around it where a
+    conversation has no links at all. Conversations longer than ``most`` messages go on in further parts, so no row
+    grows with a conversation. Messages of which only quotes and blanks remain are left out; so are those with a
+    null conversation or turn.
+    """
+    threads = reply_threads(messages, conv_col, turn_col, text_col, min_chars).dropDuplicates([conv_col, turn_col])
+    roles = pick(messages, conv_col, turn_col, role_col).toDF("c", "t", "role").groupBy("c", "t").agg(F.min("role").alias("role"))
+    linked = threads.groupBy(F.col(conv_col).alias("c0")).agg(F.max((F.col("depth") > 0).cast("int")).alias("linked"))
+    rows = threads.where(F.col(conv_col).isNotNull() & F.col(turn_col).isNotNull() & (F.trim(F.regexp_replace("own_text", r"\s+", " ")) != ""))
+    rows = rows.join(roles, (F.col(conv_col) == F.col("c")) & (F.col(turn_col) == F.col("t"))).join(linked, F.col(conv_col) == F.col("c0"))
+    alone = (F.col("linked") == 0) & (F.col("depth") == 0)
+    rows = rows.select(
+        F.when(alone, F.col(conv_col)).otherwise(F.col("root_conv")).alias("root_conv"), F.when(alone, F.lit(None)).otherwise(F.col("root_turn")).alias("root_turn"),
+        "depth", F.col(conv_col).alias("conv"), F.col(turn_col).alias("turn"), "role", F.col("own_text").alias("text"),
+    )
+    place = F.row_number().over(Window.partitionBy("root_conv", "root_turn").orderBy("depth", "conv", "turn")) - 1
+    rows = rows.withColumn("place", place).withColumn("part", F.floor(F.col("place") / most).cast("int"))
+    made = rows.groupBy("root_conv", "root_turn", "part").agg(F.sort_array(F.collect_list(F.struct("place", "conv", "turn", "role", "text"))).alias("m"))
+    return made.select("root_conv", "root_turn", "part", F.transform("m", lambda x: F.struct(x["conv"].alias("conv"), x["turn"].alias("turn"), x["role"].alias("role"), x["text"].alias("text"))).alias("messages"))
