@@ -65,7 +65,7 @@ def join_dealt(rows: DataFrame, keys: DataFrame, on: list[str], count: str, tota
     salt, parts = fresh("salt", rows, keys), fresh("parts", rows, keys)
     dealt = keys.withColumn(parts, F.ceil(F.col(count) / share).cast("int"))
     hot = dealt.where(F.col(parts) > 1).select(*on, parts)
-    own = rows.join(F.broadcast(hot), on, "left").withColumn(salt, F.coalesce(F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in rows.columns]), F.col(parts)), F.lit(0)).cast("int")).drop(parts)
+    own = rows.join(F.broadcast(hot), on, "left").withColumn(salt, F.when(F.col(parts).isNotNull(), F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in rows.columns]), F.col(parts))).otherwise(0).cast("int")).drop(parts)
     every = dealt.withColumn(salt, F.explode(F.sequence(F.lit(0), F.greatest(F.col(parts), F.lit(1)) - 1))).drop(parts)
     return own.join(every, [*on, salt]).drop(salt)
 

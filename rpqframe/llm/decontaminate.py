@@ -22,11 +22,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from rpqframe.llm.common import _NOT_WORD, ascii_words, pick, text_slices
+from rpqframe.llm.common import _NOT_WORD, ascii_words, fresh, pick, text_slices
 
 NGRAM = 13
-#: Windows in one broadcast set; about 200 bytes each.
-MAX_WINDOWS = 500_000
+#: Windows in one broadcast set, and bytes of their text and entries.
+MAX_WINDOWS, MAX_BYTES = 500_000, 128 << 20
 
 
 def item_windows(text: bytes | None, n: int) -> list[bytes]:
@@ -41,12 +41,15 @@ def window_sets(items: DataFrame, id_col: str, text_col: str, n: int, max_window
     """Sets of windows with the ids of their items, each of bounded size."""
     rows = pick(items, id_col, text_col).toDF("id", "text").where("id is not null").select(F.col("id").cast("string"), "text")
     current: dict[bytes, set[str]] = {}
+    size = 0
     for row in rows.toLocalIterator():
         for w in item_windows(None if row.text is None else row.text.encode(), n):
-            current.setdefault(w, set()).add(row.id)
-        if len(current) >= max_windows:
-            yield current
-            current = {}
+            own = current.setdefault(w, set())
+            size += 400 + len(w) if not own else 0
+            own.add(row.id)
+            if len(current) >= max_windows or size >= MAX_BYTES:  # within a huge item too
+                yield current
+                current, size = {}, 0
     yield current
 
 
@@ -149,31 +152,33 @@ def find_hits(docs: DataFrame, items: DataFrame, text_col: str = "text", item_id
 
 def contamination(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", share: int = 20, n: int = NGRAM, max_windows: int = MAX_WINDOWS) -> DataFrame:
     """id_col, n_words, n_hit, n_items, items_sha256, contaminated (a hit word in every ``share`` or more)."""
-    hits = find_hits(pick(docs, id_col, text_col), items, text_col, n=n, max_windows=max_windows, hits_col="__hits")
+    name = fresh("hits", docs)
+    hits = find_hits(pick(docs, id_col, text_col), items, text_col, n=n, max_windows=max_windows, hits_col=name)
     h = hits.select(
         id_col,
-        F.col("__hits.n_words").alias("n_words"),
-        F.aggregate("__hits.spans", F.lit(0).cast("bigint"), lambda acc, s: acc + s[1] - s[0]).alias("n_hit"),
-        F.size("__hits.items").cast("bigint").alias("n_items"),
-        F.sha2(F.array_join("__hits.items", ","), 256).alias("items_sha256"),
+        F.col(f"{name}.n_words").alias("n_words"),
+        F.aggregate(f"{name}.spans", F.lit(0).cast("bigint"), lambda acc, s: acc + s[1] - s[0]).alias("n_hit"),
+        F.size(f"{name}.items").cast("bigint").alias("n_items"),
+        F.sha2(F.array_join(f"{name}.items", ","), 256).alias("items_sha256"),
     )
     return h.withColumn("contaminated", (F.col("n_hit") > 0) & (F.lit(share) * F.col("n_hit") >= F.col("n_words")))
 
 
 def remove_contaminated(docs: DataFrame, items: DataFrame, text_col: str = "text", share: int = 20, n: int = NGRAM, max_windows: int = MAX_WINDOWS, spans_only: bool = False) -> DataFrame:
     """Drop contaminated documents, or with ``spans_only`` cut the spans out of them; others stay untouched."""
-    hits = find_hits(docs, items, text_col, n=n, max_windows=max_windows, hits_col="__hits")
-    n_hit = F.aggregate("__hits.spans", F.lit(0).cast("bigint"), lambda acc, s: acc + s[1] - s[0])
-    bad = (n_hit > 0) & (F.lit(share) * n_hit >= F.col("__hits.n_words"))
+    name = fresh("hits", docs)
+    hits = find_hits(docs, items, text_col, n=n, max_windows=max_windows, hits_col=name)
+    n_hit = F.aggregate(f"{name}.spans", F.lit(0).cast("bigint"), lambda acc, s: acc + s[1] - s[0])
+    bad = (n_hit > 0) & (F.lit(share) * n_hit >= F.col(f"{name}.n_words"))
     if not spans_only:
-        return hits.where(~bad).drop("__hits")
+        return hits.where(~bad).drop(name)
 
     @F.pandas_udf("string")
     def cut(texts, spans):
         return texts.combine(spans, lambda t, s: t if t is None else cut_words(t.encode(), [tuple(x) for x in s]).decode("utf-8", "replace"))
 
-    clean = F.when(bad, cut(F.col(f"`{text_col}`"), F.col("__hits.spans"))).otherwise(F.col(f"`{text_col}`"))
-    return hits.withColumn(text_col, clean).drop("__hits")
+    clean = F.when(bad, cut(F.col(f"`{text_col}`"), F.col(f"{name}.spans"))).otherwise(F.col(f"`{text_col}`"))
+    return hits.withColumn(text_col, clean).drop(name)
 
 
 def digest(ids: set[str]) -> str:

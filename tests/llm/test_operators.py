@@ -163,6 +163,47 @@ def test_quotes(spark):
     assert [(by[k].parent_conv, by[k].parent_turn, by[k].root_turn, by[k].depth) for k in ((1, 0), (1, 1), (1, 2), (2, 0))] == [(None, None, 0, 0), (1, 0, 0, 1), (1, 1, 0, 2), (1, 2, 0, 3)]
     assert by[1, 2].own_text == "glad to hear this" and by[1, 2].n_quoted == 2 and by[3, 0].parent_conv is None and by[3, 0].n_linked == 0
     assert quote_links.reply_threads(df.where("false")).count() == 0
+    roles = df.withColumn("role", F.when(F.col("turn") % 2 == 0, "user").otherwise("assistant"))
+    made = {(x.root_conv, x.root_turn): [(m.conv, m.turn, m.role, m.text) for m in x.messages] for x in quote_links.conversations(roles).collect()}
+    assert made == {(1, 0): [(1, 0, "user", "Hello there my friend\nhow are you doing"), (1, 1, "assistant", "fine thanks and you too"), (1, 2, "user", "glad to hear this"), (2, 0, "user", "others say so")]}
+    assert sorted(len(x.messages) for x in quote_links.conversations(roles, most=3).collect()) == [1, 3]
+
+
+def brute_links(rows, least=8):
+    """Parents by plain search: (conv, turn) -> (number quoted, number linked, parent)."""
+    norm = lambda x: re.sub(r"\s+", " ", re.sub(r"^\s*(?:>\s*)+", "", x)).lower().strip(" ")
+    level = lambda x: (re.match(r"^\s*(?:>\s*)+", x) or [""])[0].count(">")
+    own, quotes = {}, {}
+    for c, t, text in rows:
+        for x in (text or "").split("\n") if c is not None and t is not None else []:
+            if len(norm(x)) >= least:
+                if level(x):
+                    at = quotes.setdefault((c, t), {})
+                    at[norm(x)] = min(level(x), at.get(norm(x), 99))
+                else:
+                    own.setdefault(norm(x), set()).add((c, t))
+    out = {}
+    for me, lines in quotes.items():
+        votes = {}
+        for line, lev in lines.items():
+            near = [p for p in own.get(line, ()) if p[0] == me[0] and p[1] < me[1]]
+            far = min(own.get(line, ()), default=None)
+            source = max(near) if near else far if far is not None and far < me else None
+            n, least_lev = votes.get(source, (0, 99))
+            votes[source] = (n + 1, min(lev, least_lev))
+        known = {p: v for p, v in votes.items() if p is not None}
+        best = max(((-v[1], v[0], p) for p, v in known.items()), default=None)
+        out[me] = (len(lines), sum(v[0] for v in known.values()), best and best[2])
+    return out
+
+
+def test_quotes_against_plain_search(spark):
+    r = random.Random(11)
+    lines = [f"line number {k} of the talk" for k in range(12)] + ["short"]
+    rows = [(c, t, "\n".join(r.choice(["", "> ", ">> ", "> > "]) + r.choice(lines) for _ in range(r.randint(0, 5)))) for c in range(12) for t in range(6)]
+    df = spark.createDataFrame(rows, "conv_id bigint, turn bigint, text string")
+    got = {(x.conv, x.turn): (x.n_quoted, x.n_linked, x.parent and tuple(x.parent)) for x in quote_links.find_links(df.toDF("conv", "turn", "text")).collect()}
+    assert got == brute_links(rows)
 
 
 # 4 decontamination
@@ -267,8 +308,59 @@ def forest(spark):
     return secrets.train_forest(secrets.rule_findings(spark))
 
 
+def test_printed_trees_equal_the_model(spark):
+    rows = secrets.rule_findings(spark, 20)
+    model = secrets.fit_forest(rows, trees=5)
+    data = secrets.feature_rows(rows).cache()
+    from pyspark.ml.functions import vector_to_array
+
+    flat = data.select("features", vector_to_array("features").alias("v")).select("features", F.struct(*[F.col("v")[k].alias(n) for k, n in enumerate(secrets.FEATURES)]).alias("f"))
+    for t in model.trees:
+        got = t.setPredictionCol("p").setRawPredictionCol("r").setProbabilityCol("q").transform(flat).select("p", F.expr(secrets.tree_sql(t.toDebugString)).alias("own"))
+        assert got.where("p <> own").count() == 0
+
+
+def test_redaction_is_by_place(spark, forest):
+    key = "04dbebab91ab85687d33eeaaf9ac699e1188f962"
+    texts = [f'token = "{key}" and then see commit {key} or url/{key} here', f"a password=hunterhunter1xQ; token = '{key}'", None, ""]
+    df = spark.createDataFrame([(k, t, 1) for k, t in enumerate(texts)], DOCS + ", _row int")
+    got = {x.doc_id: x.text for x in secrets.redact(df, forest).collect()}
+    assert got[0] == f'token = "[secret]" and then see commit {key} or url/{key} here' and got[2] is None and got[3] == ""
+    assert key not in got[1]
+    cands = {x.doc_id: [f.m for f in x.findings] for x in secrets.scan(spark.createDataFrame([(1, "api_key=abcdefgh and PASSWORD: correcthorsebatterystaplezz x " + "a" * 50 + "123456")], DOCS), forest).collect()}
+    assert cands[1] == ["abcdefgh", "correcthorsebatterystaplezz", "a" * 50 + "123456"]
+
+
+def test_places_and_suppression_against_plain_search(spark):
+    r = random.Random(3)
+    pool = ["mit license ", "licensed under the apache license, version 2.0 ", "gnu general public license v3 ", "copyright 2020 ", "words ", "SPDX-License-Identifier: MIT\n", "this program is free software: you can redistribute it and/or modify ", "https://opensource.org/licenses/MIT "]
+    texts = ["".join(r.choice(pool) for _ in range(n)) for n in (0, 1, 5, 40, 300)] + ["copyright 2020 " * 700]
+    df = spark.createDataFrame(list(enumerate(texts)), DOCS)
+    got = {x.doc_id: [tuple(d)[:4] for d in x.detections] for x in licenses.scan(df).collect()}
+    for k, t in enumerate(texts):
+        low = t.lower()
+        raw = {(m.start(), m.end(), x["l"], x["o"]) for x in licenses.rules() for m in re.finditer(x["r"], low)}
+        inside = lambda d, x: x[0] <= d[0] and x[1] >= d[1] and x[3] <= d[3] and (x[1] - x[0] > d[1] - d[0] or x[3] < d[3])
+        want = sorted(d for d in raw if not any(inside(d, x) for x in raw)) if len(raw) < 3000 else None
+        assert want is None or got[k] == want, k
+    assert len(got[5]) == 700
+
+
+def test_forest_separates_unseen_kinds(spark):
+    rows = secrets.rule_findings(spark, 40).withColumn("kind", F.col("before"))
+    other = rows.where(F.col("kind").isin("with ", "sha256 = ", "secret: '", "file ", "page ", "access key "))
+    trained = secrets.train_forest(rows.join(other.select("kind").distinct(), "kind", "left_anti").drop("kind"))
+    docs = other.withColumn("doc_id", F.monotonically_increasing_id()).select("doc_id", F.concat("before", "candidate", F.lit(" end")).alias("text"), "label")
+    got = secrets.scan(docs, trained).join(docs, "doc_id").withColumn("hit", (F.size("secrets") > 0).cast("double"))
+    right = got.where("hit = label").count() / got.count()
+    print("kinds not trained on:", right)
+    assert right >= 0.6
+
+
 def test_forest_separates_unseen_findings(spark, forest):
-    rows = secrets.rule_findings(spark, 90).withColumn("i", F.monotonically_increasing_id())
+    # ids beyond those of the training rows, so no finding is seen before
+    rows = secrets.rule_findings(spark, 150).withColumn("i", F.monotonically_increasing_id())
+    rows = rows.join(secrets.rule_findings(spark).select("before", "candidate"), ["before", "candidate"], "left_anti")
     docs = rows.select(F.col("i").alias("doc_id"), F.concat("before", "candidate", F.lit(" end")).alias("text"), "label")
     got = secrets.scan(docs, forest).join(docs, "doc_id").withColumn("hit", (F.size("secrets") > 0).cast("double"))
     assert got.where("hit = label").count() >= 0.95 * got.count()
@@ -299,6 +391,8 @@ def test_round_trip_and_distinct(spark, odd, docs, none):
     assert back[5] == "same text here"
     assert sp_sampling.sample_report(none).count() == 0
     assert sp_sampling.decode(sp_sampling.encode(["a b", ""])) == ["a b", ""]
+    ids = {x.doc_id: x.ids for x in sp_sampling.encode_texts(odd.select("doc_id", "text")).collect()}
+    assert ids[1] is None and ids[2] == [] and ids[5] == sp_sampling.encode(["same text here"])[0]
 
 
 def test_batching_does_not_matter(spark, docs):
@@ -451,9 +545,8 @@ def test_toxicity_learns_and_holds_out(spark):
 
 
 def test_quotation_context():
-    s = 'he said "you idiot" twice\nyou idiot\n> idiot line'
-    at = [m.start() for m in re.finditer("idiot", s)]
-    assert [toxicity.is_quoted(s, a, a + 5) for a in at] == [True, False, True]
+    s = 'he said "you idiot" twice\nyou idiot\n> idiot line\n"' + "x " * 500 + 'idiot" idiot' + "\nno idiot" + ' "idiot'
+    assert toxicity.quoted(s, [m.span() for m in re.finditer("idiot", s)]) == [True, False, True, True, False, False, False]
 
 
 def test_held_out_accuracy(spark):
