@@ -7,18 +7,17 @@ indexed or pruned beyond that.
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rpqframe.functions.paths import PATH_COLUMNS, PATH_SCHEMA, paths0
 from rpqframe.functions.restrictors import ACYCLIC, SIMPLE, TRAIL, WALK
 from rpqframe.operators.automata import Dfa, compile_dfa
-from rpqframe.operators.fixpoint import BROADCAST_ROWS, MAX_LEVEL_ROWS, RecursionExplosion, Trace, reliable
+from rpqframe.operators.fixpoint import BROADCAST_ROWS, MAX_LEVEL_ROWS, RecursionExplosion, Trace, counted, new_folder, reliable
 from rpqframe.plans.regex import Regex
 from rpqframe.sources.graph import PropertyGraph
 
-#: A block's children go on the stack as at most this many blocks.
-MAX_BLOCKS = 8
 
 
 def _may_add(tau: str):
@@ -41,8 +40,11 @@ class _Product:
         self.dfa: Dfa = compile_dfa(regex, g.edge_labels)
         labels = sorted({x for _, x in self.dfa.moves})
         edges = g.edges_of(labels).select("eid", F.col("label").alias("on"), F.col("src").alias("at"), F.col("dst").alias("to"))
-        self.edges = reliable(edges)
-        self.small = self.edges.count() <= BROADCAST_ROWS
+        if g.stored and all(x in g.counts for x in labels):  # the same files that the algebra reads
+            self.edges, n = edges, sum(g.counts[x] for x in labels)
+        else:
+            self.edges, n = counted(edges)
+        self.small = n <= BROADCAST_ROWS
         spark = g.spark
         self.moves = spark.createDataFrame(self.dfa.rows() or [(-1, "", -1)], "state int, on string, next int").coalesce(1)
         self.finals = [int(x) for x in self.dfa.finals]
@@ -67,10 +69,9 @@ def bfs_automaton(g: PropertyGraph, regex: Regex, tau: str, *, seeds: DataFrame
         raise RecursionExplosion("walks through a cycle never end: give max_len or a limit")
     trace, post = trace or Trace(), post or (lambda d: d)
     p = _Product(g, regex, tau)
-    frontier, out, found, level = reliable(p.start(g, seeds)), [], 0, 0
+    (frontier, n), out, found, level = counted(p.start(g, seeds)), [], 0, 0
     while True:
         trace.check()
-        n = frontier.count()
         trace.add("frontier", n, level)
         if n > MAX_LEVEL_ROWS:
             raise RecursionExplosion(f"level {level} has {n} product states")
@@ -78,28 +79,27 @@ def bfs_automaton(g: PropertyGraph, regex: Regex, tau: str, *, seeds: DataFrame
             break
         part = post(p.accepted(frontier))
         if limit is not None:
-            part = reliable(part)
-            found += part.count()
+            part, more = counted(part)
+            found += more
         out.append(part)
         if limit is not None and found >= limit or max_len is not None and level >= max_len:
             break
-        frontier = reliable(p.step(frontier))
+        frontier, n = counted(p.step(frontier))
         level += 1
     return _union(g, out)
 
 
-def dfs_automaton(g: PropertyGraph, regex: Regex, tau: str, *, seeds: DataFrame | None = None, max_len: int | None = None, limit: int | None = None, post=None, block_rows: int = 64, trace: Trace | None = None) -> DataFrame:
+def dfs_automaton(g: PropertyGraph, regex: Regex, tau: str, *, seeds: DataFrame | None = None, max_len: int | None = None, limit: int | None = None, post=None, block_rows: int = 10_000, trace: Trace | None = None) -> DataFrame:
     """Depth first over blocks: the deepest block of product states is expanded next.
 
-    The driver's stack holds references to materialised blocks. Without a limit the answer is the breadth-first one; with a
+    The driver's stack holds references to materialised blocks of about ``block_rows`` rows. Without a limit the answer is the breadth-first one; with a
     limit it is any that many paths, as found first.
     """
     if tau == WALK and max_len is None and limit is None:
         raise RecursionExplosion("walks through a cycle never end: give max_len or a limit")
     trace, post = trace or Trace(), post or (lambda d: d)
     p = _Product(g, regex, tau)
-    first = reliable(p.start(g, seeds))
-    stack, out, found = [(first, first.count(), 0)], [], 0
+    stack, out, found = [(*counted(p.start(g, seeds)), 0)], [], 0
     while stack:
         trace.check()
         block, n, depth = stack.pop()
@@ -108,20 +108,20 @@ def dfs_automaton(g: PropertyGraph, regex: Regex, tau: str, *, seeds: DataFrame
         trace.add("block", n, depth)
         part = post(p.accepted(block))
         if limit is not None:
-            part = reliable(part)
-            found += part.count()
+            part, more = counted(part)
+            found += more
         out.append(part)
         if limit is not None and found >= limit:
             break
         if max_len is not None and depth >= max_len:
             continue
-        kids = reliable(p.step(block))
-        m = kids.count()
-        blocks = min(MAX_BLOCKS, -(-m // block_rows))
-        if blocks > 1:
-            part_of = F.pmod(F.xxhash64("edges"), F.lit(blocks))
-            parts = [kids.where(part_of == k) for k in range(blocks)]
-            stack += [(x, x.count(), depth + 1) for x in parts]
+        kids, m = counted(p.step(block))
+        blocks = -(-m // block_rows)
+        if blocks > 1:  # written once by block, so that each is a folder of its own
+            path = new_folder(g.spark, "blocks")
+            kids.withColumn("block", F.pmod(F.xxhash64("src", "edges"), F.lit(blocks))).write.partitionBy("block").parquet(path)
+            sizes = {r["block"]: r["count"] for r in g.spark.read.parquet(path).groupBy("block").count().collect()}
+            stack += [(g.spark.read.schema(kids.schema).parquet(f"{path}/block={k}"), v, depth + 1) for k, v in sorted(sizes.items())]
         else:
             stack.append((kids, m, depth + 1))
     return _union(g, out)
@@ -158,6 +158,36 @@ def dfs_local(edges: list[tuple[int, str, int, int]], dfa: Dfa, tau: str, seeds:
     return out
 
 
+def group_paths(edges: DataFrame, group: str, regex: Regex, tau: str, alphabet: list[str], max_len: int | None = None) -> DataFrame:
+    """group, src, dst, len, nodes, edges: depth-first search inside each group of edges (such as a conversation), one group in memory at a time."""
+    if tau == WALK and max_len is None:
+        raise RecursionExplosion("walks through a cycle never end: give max_len")
+    dfa = compile_dfa(regex, alphabet)
+
+    def search(pdf: pd.DataFrame) -> pd.DataFrame:
+        rows = [(int(a), str(b), int(c), int(d)) for a, b, c, d in zip(pdf["eid"], pdf["label"], pdf["src"], pdf["dst"])]
+        ids = sorted({r[2] for r in rows} | {r[3] for r in rows})
+        found = dfs_local(rows, dfa, tau, ids, max_len)
+        key = pdf[group].iloc[0]
+        return pd.DataFrame({group: [key] * len(found), "src": [n[0] for n, _ in found], "dst": [n[-1] for n, _ in found], "len": [len(e) for _, e in found], "nodes": [n for n, _ in found], "edges": [e for _, e in found]})
+
+    kind = edges.schema[group].dataType.simpleString()
+    return edges.groupBy(group).applyInPandas(search, f"`{group}` {kind}, {PATH_SCHEMA}")
+
+
+def expansions(g: PropertyGraph, regex: Regex, tau: str, seeds: DataFrame | None = None, max_len: int | None = None) -> DataFrame:
+    """n_expanded, n_states: product states that the traversal expands, and distinct (node, state) among them."""
+    if tau == WALK and max_len is None:
+        raise RecursionExplosion("walks through a cycle never end: give max_len")
+    p = _Product(g, regex, tau)
+    (frontier, n), parts, level = counted(p.start(g, seeds)), [], 0
+    while n and (max_len is None or level <= max_len):
+        parts.append(frontier.select("dst", "state"))
+        frontier, n = counted(p.step(frontier))
+        level += 1
+    return _union(g, parts, "dst bigint, state int").agg(F.count("*").alias("n_expanded"), F.countDistinct("dst", "state").alias("n_states"))
+
+
 def reachable_pairs(g: PropertyGraph, regex: Regex, seeds: DataFrame | None = None, trace: Trace | None = None) -> DataFrame:
     """src, dst of matching walks, without the paths; ends on any graph, as pairs are visited once."""
     trace = trace or Trace()
@@ -190,9 +220,9 @@ def reachable_pairs(g: PropertyGraph, regex: Regex, seeds: DataFrame | None = No
     return all_pairs.where(F.col("state").isin(p.finals)).select("src", "dst").distinct()
 
 
-def _union(g: PropertyGraph, parts: list[DataFrame]) -> DataFrame:
+def _union(g: PropertyGraph, parts: list[DataFrame], schema: str = PATH_SCHEMA) -> DataFrame:
     if not parts:
-        return g.spark.createDataFrame([], PATH_SCHEMA)
+        return g.spark.createDataFrame([], schema)
     out = parts[0]
     for x in parts[1:]:
         out = out.unionByName(x)

@@ -5,7 +5,7 @@ from __future__ import annotations
 from rpqframe.functions.restrictors import ACYCLIC, SIMPLE, TRAIL, WALK
 from rpqframe.operators.automata import compile_dfa
 from rpqframe.plans.regex import parse_regex
-from rpqframe.plans.workload import seed_label
+from rpqframe.plans.workload import seed_label, witness
 from rpqframe.sources.tables import EDGE_KIND, EDGES, NODE_KIND, SPAN
 
 
@@ -21,6 +21,9 @@ TAGS = "(SELECT name, row_number() OVER (ORDER BY name) AS tag FROM (SELECT even
 MEMBERS = f"(SELECT c_custkey, c_acctbal, tag * 1000 + c_nationkey AS club FROM customer JOIN {TAGS} ON name = c_mktsegment)"
 
 
+TRANSITIONS = f"(SELECT x.tag AS a, y.tag AS b FROM (SELECT DISTINCT event_type, nxt FROM (SELECT event_type, lead(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS nxt FROM events) WHERE nxt IS NOT NULL) JOIN {TAGS} AS x ON x.name = event_type JOIN {TAGS} AS y ON y.name = nxt)"
+
+
 def edge_sql(label: str, fanout: int = 1) -> str:
     person, event = (lambda k: _n("Person", k)), (lambda k: _n("Event", k))
     turn = lambda k: _n("Turn", f"conv_id * 100 + {k}")
@@ -45,6 +48,8 @@ def edge_sql(label: str, fanout: int = 1) -> str:
         "firstSupplier": lambda: _e(label, "o_custkey", person("o_custkey"), _n("Supplier", "l_suppkey"), "(SELECT o_custkey, l_suppkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, l_orderkey, l_linenumber, l_partkey, l_suppkey) AS r FROM lineitem JOIN orders ON o_orderkey = l_orderkey) WHERE r = 1"),
         "hasMember": lambda: _e(label, "c_custkey", _n("Club", "club"), person("c_custkey"), MEMBERS),
         "hasModerator": lambda: _e(label, "club", _n("Club", "club"), person("c_custkey"), f"(SELECT *, row_number() OVER (PARTITION BY club ORDER BY c_acctbal DESC, c_custkey) AS r FROM {MEMBERS}) WHERE r = 1"),
+        "followedBy": lambda: _e(label, "a * 1000 + b", _n("Tag", "a"), _n("Tag", "b"), TRANSITIONS),
+        "precededBy": lambda: _e(label, "b * 1000 + a", _n("Tag", "b"), _n("Tag", "a"), TRANSITIONS),
     }[label]()
 
 
@@ -100,5 +105,18 @@ def rpq_sql(template: str, tau: str, *, seeds: str | None = None, max_len: int |
     return paths_sql(template, tau, seeds=seeds, max_len=max_len, fanout=fanout) + f"SELECT src, dst, len, seq FROM found{tail}"
 
 
+def witness_seed_sql(template: str) -> str:
+    """The seed of a template among the nodes that its witness word starts from."""
+    word = witness(parse_regex(template))
+    chain = f"SELECT DISTINCT e0.src FROM ({edge_sql(word[0])}) AS e0 " + " ".join(f"JOIN ({edge_sql(x)}) AS e{k} ON e{k}.src = e{k - 1}.dst" for k, x in enumerate(word[1:], 1))
+    deg = f"(SELECT src, count(*) AS d FROM ({edge_sql(word[0])}) WHERE src IN ({chain}) GROUP BY src)"
+    return f"SELECT min(src) AS id FROM {deg} WHERE d = (SELECT quantile_disc(d, 0.5) FROM {deg})"
+
+
+def shape_sql(names: list[str], tau: str, limit: int, max_len: int | None = None) -> str:
+    """The answers of several templates, each from its own seed."""
+    return " UNION ALL ".join(f"SELECT '{t}' AS template, * FROM ({rpq_sql(t, tau, seeds=witness_seed_sql(t), limit=limit, max_len=max_len)})" for t in names)
+
+
 def seeded_sql(template: str, tau: str, limit: int | None, max_len: int | None = None) -> str:
     return rpq_sql(template, tau, seeds=median_seed_sql(seed_label(template)), limit=limit, max_len=max_len)

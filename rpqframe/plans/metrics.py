@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import threading
 import time
+import uuid
 from collections.abc import Callable
+from contextlib import contextmanager, nullcontext
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rpqframe.operators.fixpoint import QueryTimeout, RecursionExplosion, Trace
@@ -13,20 +16,54 @@ from rpqframe.operators.fixpoint import QueryTimeout, RecursionExplosion, Trace
 METRICS_SCHEMA = "query string, shape string, method string, restrictor string, sf string, run int, seconds double, paths bigint, levels int, intermediate_rows bigint, peak_rows bigint, status string"
 
 
-def timed(make: Callable[[], DataFrame], timeout_s: float, trace: Trace) -> tuple[float, int, str]:
-    """Seconds from submission to the last answer, number of answers, and how it ended."""
+@contextmanager
+def cancelled_after(spark: SparkSession, seconds: float | None):
+    """Jobs that this thread starts inside are cancelled once the time is over; gives a function that tells whether they were."""
+    if seconds is None:
+        yield lambda: False
+        return
+    tag, fired = f"rpq-{uuid.uuid4().hex}", threading.Event()
+
+    def stop() -> None:
+        fired.set()
+        spark.sparkContext.cancelJobsWithTag(tag)
+
+    timer = threading.Timer(max(seconds, 0.0), stop)
+    timer.daemon = True
+    spark.sparkContext.addJobTag(tag)
+    timer.start()
+    try:
+        yield fired.is_set
+    finally:
+        timer.cancel()
+        spark.sparkContext.removeJobTag(tag)
+
+
+#: What Spark and its cluster managers say of a task, executor or driver that ran out of memory or disk.
+_MEMORY = ("OutOfMemory", "Java heap space", "GC overhead limit", "No space left", "Container killed", "exit code 137", "exited with code 137", "OOMKilled", "exceeding memory limits", "UNABLE_TO_ACQUIRE_MEMORY", "maxResultSize", "Cannot broadcast the table")
+
+
+def failure_kind(text: str) -> str | None:
+    """memory for the text of a failure of memory or disk, else None."""
+    return "memory" if any(x in text for x in _MEMORY) else None
+
+
+def timed(make: Callable[[], DataFrame], timeout_s: float, trace: Trace, spark: SparkSession | None = None) -> tuple[float, int, str]:
+    """Seconds from submission to the last answer, number of answers, and how it ended. With a session, jobs are cancelled at the timeout."""
     begin = time.perf_counter()
     trace.deadline = time.monotonic() + timeout_s
-    try:
-        paths, status = len(make().collect()), "ok"
-    except QueryTimeout:
-        paths, status = 0, "timeout"
-    except RecursionExplosion:
-        paths, status = 0, "explosion"
-    except Exception as e:  # memory failures are a measure here; everything else is an error
-        if not any(x in str(e) for x in ("OutOfMemory", "SparkOutOfMemory", "No space left")):
-            raise
-        paths, status = 0, "memory"
+    paths, status = 0, "ok"
+    with nullcontext(lambda: False) if spark is None else cancelled_after(spark, timeout_s) as stopped:
+        try:
+            paths = len(make().collect())
+        except QueryTimeout:
+            status = "timeout"
+        except RecursionExplosion:
+            status = "explosion"
+        except Exception as e:  # failures of memory are a measure here; everything else is an error
+            status = "timeout" if stopped() else failure_kind(str(e))
+            if status is None:
+                raise
     seconds = time.perf_counter() - begin
     return seconds, paths, "timeout" if status == "ok" and seconds > timeout_s else status
 

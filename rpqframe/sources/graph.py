@@ -22,6 +22,7 @@ class PropertyGraph:
     node_frames: dict[str, Callable[[], DataFrame]]
     edge_frames: dict[str, Callable[[], DataFrame]]
     counts: dict[str, int] = field(default_factory=dict)
+    stored: bool = False  # label frames are scans of files
 
     @property
     def edge_labels(self) -> list[str]:
@@ -100,7 +101,9 @@ def open_graph(spark: SparkSession, path: str) -> PropertyGraph:
     order = lambda d, cols: d.select(*cols)
     n = order(spark.read.parquet(f"{path}/nodes"), ["id", "label", "props"])
     e = order(spark.read.parquet(f"{path}/edges"), ["eid", "label", "src", "dst", "props"])
-    return from_frames(n, e)
+    out = from_frames(n, e)
+    out.stored = True
+    return out
 
 
 def validate(g: PropertyGraph) -> dict[str, int]:

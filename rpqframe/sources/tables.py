@@ -15,7 +15,7 @@ NODE_KIND = {k: i for i, k in enumerate(["Person", "Event", "Order", "Part", "Su
 EDGE_KIND = {
     k: i
     for i, k in enumerate(
-        ["knows", "likes", "hasCreator", "nextEvent", "hasTag", "hasInterest", "isLocatedIn", "isPartOf", "hasNation", "replyOf", "inConversation", "placed", "placedBy", "contains", "suppliedBy", "buysFrom", "firstSupplier", "hasMember", "hasModerator"],
+        ["knows", "likes", "hasCreator", "nextEvent", "hasTag", "hasInterest", "isLocatedIn", "isPartOf", "hasNation", "replyOf", "inConversation", "placed", "placedBy", "contains", "suppliedBy", "buysFrom", "firstSupplier", "hasMember", "hasModerator", "followedBy", "precededBy"],
         21,
     )
 }
@@ -122,10 +122,17 @@ def likes(t: Tables) -> DataFrame:
     same_day = seen.where("view is null").withColumn("own", F.when(F.col("v.user_id") != F.col("user_id"), F.struct("v.ts", "v.event_id", "v.user_id")).otherwise(F.col("v.other")))
     tops = views.groupBy("day").agg(F.max(me).alias("a"))
     seconds = views.join(F.broadcast(tops), "day").where("user_id <> a.user_id").groupBy("day").agg(F.max(me).alias("b"))
-    days = tops.join(seconds, "day", "left").select(F.col("day").alias("d"), "a", "b")
-    # one row per day: an earlier day's latest views serve purchases without one on their own day
-    rest = same_day.where("own is null").join(F.broadcast(days), F.col("d") < F.col("day"))
-    rest = rest.groupBy("event_id", "user_id").agg(F.max(F.when(F.col("a.user_id") != F.col("user_id"), F.col("a")).otherwise(F.col("b"))).alias("own"))
+    # a day's latest views by two users, in order over all days; each with the latest one by another user before it
+    entries = tops.join(seconds, "day", "left").select("day", F.explode(F.array_compact(F.array("b", "a"))).alias("e"))
+    line = Window.orderBy("e.ts", "e.event_id")
+    entries = entries.withColumn("prev", F.lag("e").over(line)).withColumn("change", F.when(F.col("prev.user_id") != F.col("e.user_id"), F.col("prev")))
+    entries = entries.withColumn("other", F.last("change", ignorenulls=True).over(line.rowsBetween(Window.unboundedPreceding, 0)))
+    heads = entries.groupBy("day").agg(F.max(F.struct("e", "other")).alias("head"))
+    # one row per day: the latest of all earlier days serves purchases without a view on their own day
+    earlier = Window.orderBy("day").rowsBetween(Window.unboundedPreceding, -1)
+    days = ev.select("day").distinct().join(heads, "day", "left").select("day", F.last("head", ignorenulls=True).over(earlier).alias("h"))
+    rest = same_day.where("own is null").drop("own").join(F.broadcast(days), "day")
+    rest = rest.select("event_id", "user_id", F.when(F.col("h.e.user_id") != F.col("user_id"), F.col("h.e")).otherwise(F.col("h.other")).alias("own"))
     found = same_day.where("own is not null").select("event_id", "user_id", "own").unionByName(rest.where("own is not null"))
     return _edges(found, "likes", "event_id", nid("Person", "user_id"), nid("Event", F.col("own.event_id")))
 
@@ -166,6 +173,14 @@ def moderators(t: Tables) -> DataFrame:
     return _edges(top, "hasModerator", "club", nid("Club", "club"), nid("Person", "k"))
 
 
+def _transitions(t: Tables) -> DataFrame:
+    """a, b: the tags of event types that follow each other in some user's events; a type can follow itself."""
+    after = F.lead("event_type").over(Window.partitionBy("user_id").orderBy("ts", "event_id"))
+    pairs = t.read("events").select(F.col("event_type").alias("name"), after.alias("next")).where("next is not null").distinct()
+    both = pairs.join(F.broadcast(t.tags.withColumnRenamed("tag", "a")), "name").select("a", F.col("next").alias("name"))
+    return both.join(F.broadcast(t.tags.withColumnRenamed("tag", "b")), "name").select("a", "b")
+
+
 def _turn(k=0) -> Column:
     return nid("Turn", F.col("conv_id") * 100 + F.col("turn") - k)
 
@@ -195,4 +210,6 @@ EDGES = {
     "firstSupplier": first_supplier,
     "hasMember": lambda t: _edges(_members(t), "hasMember", "c_custkey", nid("Club", "club"), nid("Person", "c_custkey")),
     "hasModerator": moderators,
+    "followedBy": lambda t: _edges(_transitions(t), "followedBy", F.col("a") * 1000 + F.col("b"), nid("Tag", "a"), nid("Tag", "b")),
+    "precededBy": lambda t: _edges(_transitions(t), "precededBy", F.col("b") * 1000 + F.col("a"), nid("Tag", "b"), nid("Tag", "a")),
 }

@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from rpqframe.functions.paths import PATH_SCHEMA, paths1
+from rpqframe.functions.restrictors import TRAIL, restrict
+from rpqframe.operators.fixpoint import join_paths, recursive_join, reliable
+
 
 def edge_stream(events: DataFrame, late: str = "1 hour") -> DataFrame:
     """Event rows as edges from users to event types, with a watermark."""
@@ -32,3 +36,39 @@ def two_step_paths(first: DataFrame, second: DataFrame, within: str = "1 hour",
     b = second.withWatermark("ts", late).select(F.col("event_id").alias("e2"), F.col("user_id").alias("u2"), F.col("ts").alias("t2"))
     near = (F.col("u1") == F.col("u2")) & (F.col("t2") > F.col("t1")) & (F.col("t2") <= F.col("t1") + F.expr(f"interval {within}"))
     return a.join(b, near).select("u1", "e1", "e2", "t1", "t2")
+
+
+class PathTable:
+    """All paths over the edges seen so far, under a restrictor, kept up by micro-batches.
+
+    A new path holds a new edge. Cut before its first new edge, it is an old path or nothing, that edge, and any
+    further edges; the cut is unique, so each new path is found once. Edges and paths are parquet folders by
+    batch, so a batch that runs again replaces what it wrote.
+    """
+
+    def __init__(self, spark: SparkSession, folder: str, tau: str = TRAIL, max_len: int | None = None):
+        self.spark, self.folder, self.tau, self.max_len = spark, folder, tau, max_len
+
+    def _before(self, kind: str, schema: str, batch: int | None) -> DataFrame:
+        where = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{kind}")
+        if not where.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(where):
+            return self.spark.createDataFrame([], schema)
+        rows = self.spark.read.schema(f"{schema}, batch long").parquet(f"{self.folder}/{kind}")
+        return (rows if batch is None else rows.where(F.col("batch") < batch)).drop("batch")
+
+    def edges(self, before: int | None = None) -> DataFrame:
+        return self._before("edges", "eid bigint, src bigint, dst bigint", before)
+
+    def paths(self, before: int | None = None) -> DataFrame:
+        return self._before("paths", PATH_SCHEMA, before)
+
+    def add(self, edges: DataFrame, batch: int) -> None:
+        """Take in the edges (eid, src, dst) of one batch; fits ``foreachBatch``. An edge seen before is not new."""
+        old = self.edges(batch)
+        new = reliable(edges.select("eid", "src", "dst").dropDuplicates(["eid"]).join(old.select("eid"), "eid", "left_anti").select("eid", "src", "dst"))
+        first = paths1(new).where(restrict(self.tau))
+        start = first.unionByName(join_paths(self.paths(batch), first, self.tau))
+        base = paths1(old.unionByName(new))
+        found = recursive_join(base, self.tau, start=start, dedupe=False, max_len=self.max_len, base_lengths=(1, 1))
+        found.write.mode("overwrite").parquet(f"{self.folder}/paths/batch={batch}")
+        new.write.mode("overwrite").parquet(f"{self.folder}/edges/batch={batch}")
