@@ -262,18 +262,33 @@ def recursive_join(
     def level_of(chunk: DataFrame, k: int) -> DataFrame:
         return chunk.where(F.col("level") == k).select(*PATH_COLUMNS)
 
+    level, more, by_level = 0, True, None
     if whole:
         first = every
     elif start is not None:
         first, sizes = store.put(unique(bound(start.where(restrict(tau)))), 0)
+    elif layout.small and not dedupe:  # the first level is a part of a small base: one task may have it and go on
+        first, by_level, more = _ahead(seed(every.select(*PATH_COLUMNS)), layout.rows, tau, max_len, -1, store, trace, limit)
+        sizes = _total(by_level)
     else:
         first, sizes = store.put(seed(every.select(*PATH_COLUMNS)), 0, (min(sizes, default=0), max(sizes, default=0)))
     emit(first, sizes)
+    if by_level is not None:
+        sizes = by_level.get(0, {})
     if start is None:
         sizes = {k: n for k, n in sizes.items() if k}
         first = first.where("len > 0")
-    first_low, level = min(sizes, default=0), 0
+    first_low = min(sizes, default=0)
     delta = first.select(*PATH_COLUMNS)
+    if by_level:
+        for k in range(max(by_level)):
+            trace.add("recursion", sum(by_level[k].values()), max(by_level[k]), row_bytes(by_level[k]))
+        level = max(by_level)
+        sizes = {k: n for k, n in by_level[level].items() if k}
+        delta = level_of(first, level)
+        if not more:
+            trace.add("recursion", sum(sizes.values()), max(sizes, default=0), row_bytes(sizes))
+            sizes = {}
     past: list[tuple[DataFrame, int]] = []
     tried = -1  # the level at which going ahead was too much
     while sizes:
@@ -289,13 +304,9 @@ def recursive_join(
         if level >= MAX_LEVELS:
             raise RecursionExplosion(f"paths go on after {level} levels")
         if layout.small and not dedupe and n <= LOCAL_FRONTIER and tried != level:
-            chunk, by_level, more = _ahead(delta, layout.rows, tau, max_len, level, store, trace)
+            chunk, by_level, more = _ahead(delta, layout.rows, tau, max_len, level, store, trace, limit)
             if by_level:
-                total: dict[int, int] = {}
-                for x in by_level.values():
-                    for k, v in x.items():
-                        total[k] = total.get(k, 0) + v
-                emit(chunk, total)
+                emit(chunk, _total(by_level))
                 last = max(by_level)
                 for k in range(level + 1, last):
                     trace.add("recursion", sum(by_level[k].values()), max(by_level[k]), row_bytes(by_level[k]))
@@ -327,17 +338,29 @@ def recursive_join(
     return store.rows() if post is None else post(store.rows())
 
 
-def _ahead(delta: DataFrame, base: DataFrame, tau: str, max_len: int | None, level: int, store: Store, trace: Trace) -> tuple[DataFrame, dict[int, dict[int, int]], bool]:
+def _total(by_level: dict[int, dict[int, int]]) -> dict[int, int]:
+    """Paths by length over all levels."""
+    out: dict[int, int] = {}
+    for sizes in by_level.values():
+        for k, n in sizes.items():
+            out[k] = out.get(k, 0) + n
+    return out
+
+
+def _ahead(delta: DataFrame, base: DataFrame, tau: str, max_len: int | None, level: int, store: Store, trace: Trace, limit: int | None) -> tuple[DataFrame, dict[int, dict[int, int]], bool]:
     """Whole next levels of a small frontier over a small base, made by one task; their sizes; whether more may follow.
 
-    A level that would make too many rows is left out; a row of level -1 says so.
+    A level that would make too many rows is left out; a row of level -1 says so. Before level 0 the frontier
+    itself is the first level. Under a limit a task makes a few times what is asked, and the next one twice that.
     """
     end = None if trace.deadline is None else trace.deadline - time.monotonic()
+    most = LOCAL_ROWS if limit is None else min(LOCAL_ROWS, max(2_000, 2 * limit) << min(store.chunks, 16))
 
     def run(frontier: pa.Table, steps: pa.Table) -> pa.Table:
-        return expand(frontier, steps, tau, max_len, level, end)
+        return expand(frontier, steps, tau, max_len, level, end, most)
 
-    one = lambda d: d.select(*PATH_COLUMNS, F.lit(0).alias("one")).groupBy("one")
+    # the frontier can be a part of the base: new names tell their columns apart
+    one = lambda d: d.select(*PATH_COLUMNS, F.lit(0).alias("one")).toDF(*PATH_COLUMNS, "one").groupBy("one")
     made = one(delta).cogroup(one(base)).applyInArrow(run, Store.SCHEMA)
     path = f"{store.root}/chunk={store.chunks}"
     store.chunks += 1
@@ -358,9 +381,8 @@ def _lists(t: pa.Table, name: str):
     return lambda i: flat[at[i] : at[i + 1]].tolist()
 
 
-def expand(frontier: pa.Table, steps: pa.Table, tau: str, max_len: int | None, level: int, seconds: float | None, most: int | None = None) -> pa.Table:
+def expand(frontier: pa.Table, steps: pa.Table, tau: str, max_len: int | None, level: int, seconds: float | None, most: int = LOCAL_ROWS) -> pa.Table:
     """The levels after a frontier, breadth first, until they end or hold ``most`` rows or the time is over."""
-    most = LOCAL_ROWS if most is None else most
     first = steps.column("src").to_numpy()
     order = np.argsort(first, kind="stable")
     first = first[order]
@@ -377,6 +399,10 @@ def expand(frontier: pa.Table, steps: pa.Table, tau: str, max_len: int | None, l
     rows = [(f_nodes(i), f_edges(i)) for i in range(frontier.num_rows)]
     out: list[tuple[int, list[int], list[int]]] = []
     begin, more, work = time.monotonic(), False, 0
+    if level < 0:
+        level = 0
+        out = [(0, *r) for r in rows]
+        rows = [r for r in rows if r[1]]  # paths of length 0 extend nothing
     while rows:
         nxt: list[tuple[list[int], list[int]]] = []
         for nodes, edges in rows:
@@ -396,7 +422,7 @@ def expand(frontier: pa.Table, steps: pa.Table, tau: str, max_len: int | None, l
             if len(out) + len(nxt) > most or work > 100 * most or seconds is not None and time.monotonic() - begin > seconds:
                 more = True
                 break
-        if more:
+        if more or not nxt:
             break
         level += 1
         out += [(level, *r) for r in nxt]

@@ -23,6 +23,7 @@ class PropertyGraph:
     edge_frames: dict[str, Callable[[], DataFrame]]
     counts: dict[str, int] = field(default_factory=dict)
     stored: bool = False  # label frames are scans of files
+    whole: tuple[DataFrame, DataFrame] | None = None  # nodes and edges of all labels, where one scan gives several labels
 
     @property
     def edge_labels(self) -> list[str]:
@@ -33,9 +34,13 @@ class PropertyGraph:
         return list(self.node_frames)
 
     def nodes_of(self, labels: Iterable[str] | None = None) -> DataFrame:
+        if self.whole is not None:
+            return _of_labels(self.whole[0], labels)
         return _union(self.spark, [self.node_frames[x]() for x in (self.node_frames if labels is None else labels)], NODE_SCHEMA)
 
     def edges_of(self, labels: Iterable[str] | None = None) -> DataFrame:
+        if self.whole is not None:
+            return _of_labels(self.whole[1], labels)
         names = list(self.edge_frames) if labels is None else [x for x in labels if x in self.edge_frames]
         return _union(self.spark, [self.edge_frames[x]() for x in names], EDGE_SCHEMA)
 
@@ -54,6 +59,13 @@ class PropertyGraph:
         return self.counts[label]
 
 
+def _of_labels(df: DataFrame, labels: Iterable[str] | None) -> DataFrame:
+    if labels is None:
+        return df
+    names = list(labels)
+    return df.where(F.col("label") == names[0] if len(names) == 1 else F.col("label").isin(names))
+
+
 def _union(spark: SparkSession, frames: list[DataFrame], schema: str) -> DataFrame:
     if not frames:
         return spark.createDataFrame([], schema)
@@ -68,7 +80,7 @@ def from_frames(nodes: DataFrame, edges: DataFrame, node_labels: list[str] | Non
     spark = nodes.sparkSession
     nl = node_labels or [r[0] for r in nodes.select("label").distinct().orderBy("label").collect()]
     el = edge_labels or [r[0] for r in edges.select("label").distinct().orderBy("label").collect()]
-    return PropertyGraph(spark, {x: (lambda x=x: nodes.where(F.col("label") == x)) for x in nl}, {x: (lambda x=x: edges.where(F.col("label") == x)) for x in el})
+    return PropertyGraph(spark, {x: (lambda x=x: nodes.where(F.col("label") == x)) for x in nl}, {x: (lambda x=x: edges.where(F.col("label") == x)) for x in el}, whole=(nodes, edges))
 
 
 def graph_from_tables(spark: SparkSession, sf_dir: str, fanout: int = 1) -> PropertyGraph:
