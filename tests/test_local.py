@@ -130,3 +130,13 @@ def test_streamed_chains_are_not_cut(spark, monkeypatch):
     monkeypatch.setattr(fixpoint, "MAX_LEVELS", 9)
     with pytest.raises(Exception, match="paths go on"):
         recursive_join(chain, "acyclic", dedupe=False).count()
+
+
+def test_restricted_set_operations_move_nothing(spark):
+    parts, _ = many_graphs(random.Random(9), 20)
+    one = paths1(frame(spark, [(e, a, b) for part, _ in parts for e, _, a, b in part])).cache()
+    trails, simple = recursive_join(one, "trail", dedupe=False), recursive_join(one, "simple", dedupe=False)
+    both, rest = aggregate.intersect_restricted(trails, "simple"), aggregate.except_restricted(trails, "simple")
+    assert keys(both) == keys(aggregate.intersect_paths(trails, simple)) == keys(simple)
+    assert keys(rest) == keys(aggregate.except_paths(trails, simple)) and rest.count()
+    assert not any("Exchange" in d._jdf.queryExecution().executedPlan().toString() for d in (both, rest))
