@@ -54,7 +54,10 @@ def shingle_hashes(words: list[bytes], size: int, digest=xxhash.xxh64_intdigest)
 
 def fingerprint(raw: bytes | None, size: int = 3) -> int:
     """Unsigned fingerprint: a bit is set if it is set in over half of the shingle hashes."""
-    hashes = shingle_hashes((raw or b"").lower().split(), size)
+    return fingerprint_of(shingle_hashes((raw or b"").lower().split(), size))
+
+
+def fingerprint_of(hashes: list[int]) -> int:
     if not hashes:
         return 0
     counts = np.zeros(BITS, dtype=np.int64)

@@ -40,3 +40,19 @@ def test_near_stage(spark):
     assert sorted(x.doc_id for x in got.collect() if x.doc_id is not None) == sorted(i for i, _ in rows if i is not None and want[i] == i)
     assert want[6001] == 6000 and 145 in want and want[145] == 6  # seven bits apart as three-word fingerprints
     assert corpus_pipeline.near_stage(spark, df.where("false"), SF).count() == 0
+
+
+def test_near_fingerprints_are_candidates(spark):
+    from rpqframe.llm import shingle_dedup as S
+    from rpqframe.llm.simhash import fingerprint
+
+    r = random.Random(9)
+    words = [f"w{k}" for k in range(400)]
+    texts = [" ".join(words + [f"end{k}"] * (k % 3)) for k in range(6)] + [" ".join(r.choices(words, k=50)) for _ in range(20)] + [None, "one two"]
+    df = spark.createDataFrame(list(enumerate(texts)), "id bigint, text string").coalesce(1)
+    rows = S.prints(df, S.SIZE, S.common_shingles(df)).cache()
+    got = {(x.a, x.b) for x in S._Links(df, rows, S.SIZE).near_prints().collect()}
+    sig, fp = {x.id: x.sig for x in rows.collect()}, {x.id: x.fp & (1 << 64) - 1 for x in rows.collect()}
+    assert all(fp[i] == fingerprint(t and t.encode(), S.SIZE) for i, t in enumerate(texts))
+    near = {tuple(sorted((sig[i], sig[j]))) for i in fp for j in fp if sig[i] != sig[j] and (fp[i] ^ fp[j]).bit_count() <= S.DISTANCE}
+    assert near and got <= near and all(any(set(p) & set(q) for q in got) for p in near)
