@@ -395,6 +395,15 @@ def test_round_trip_and_distinct(spark, odd, docs, none):
     assert ids[1] is None and ids[2] == [] and ids[5] == sp_sampling.encode(["same text here"])[0]
 
 
+def test_report_encodes_and_decodes(spark, odd, docs):
+    df = docs.select(F.col("doc_id") + 1000, "text").limit(60).toDF("doc_id", "text").union(odd.select("doc_id", "text"))
+    counts = sorted((x.doc_id is not None, x.doc_id or 0, x.n_tokens) for x in token_count.count_tokens(df).collect())
+    got = sp_sampling.sample_report(df).collect()
+    assert sorted((x.doc_id is not None, x.doc_id or 0, x.n_tokens) for x in got) == counts and all(x.tokens_decode for x in got)
+    ids = np.array(sp_sampling.encode(["same text here"])[0], dtype="<i4")
+    assert {x.token_hash for x in got if x.doc_id == 5} == {xxhash.xxh64_hexdigest(ids.tobytes())}
+
+
 def test_batching_does_not_matter(spark, docs):
     a = {x.doc_id: x.ids_hash for x in sp_sampling.sample_report(docs).collect()}
     b = {x.doc_id: x.ids_hash for x in sp_sampling.sample_report(docs.repartition(7)).collect()}
